@@ -21,9 +21,9 @@ from .common import fresh, ragged, table, whole_groups, word_hashes, written
 
 BITS, WORDS64 = 256, 4
 #: Near duplicates differ in at most this many of the 256 bits.
-RADIUS = 46
+RADIUS = 52
 #: The number of samplings gives this recall to pairs at DESIGN_RATE of bits that differ, the usual near copy.
-DESIGN_RATE, DESIGN_RECALL = 0.125, 0.97
+DESIGN_RATE, DESIGN_RECALL = 0.15, 0.97
 #: Fingerprints of unrelated texts that are meant to share a shard; sets how many bits are sampled.
 SHARD_SIZE = 50
 _FP = [f"f{i}" for i in range(WORDS64)]
