@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from .common import ragged, table, written
 
-CODEBOOKS, CODEWORDS, BEAM, STEPS = 8, 256, 4, 3
+CODEBOOKS, CODEWORDS, BEAM, STEPS = 16, 256, 4, 2
 NEIGHBOURS = 10
 #: Candidates of each block and query that are ranked again by exact distance, at least; a share of the block.
 RERANK, RERANK_SHARE = 200, 0.02

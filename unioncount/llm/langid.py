@@ -13,6 +13,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -45,6 +46,11 @@ def trigram_codes(data: np.ndarray) -> np.ndarray:
     return ((b[:-2] * np.uint32(0x9E3779B1) + b[1:-1] * np.uint32(0x85EBCA6B) + b[2:] * np.uint32(0xC2B2AE35)) >> np.uint32(16)).astype(np.uint16)
 
 
+def letters_of(text: Column) -> Column:
+    """Lower-cased words of letters; numbers, addresses, keys and signs say nothing of a language."""
+    return F.regexp_replace(F.lower(text), r"\S*[0-9@]\S*|[^\p{L}]+", " ")
+
+
 def fit_text_model(spark: SparkSession, docs: DataFrame, fit_rows: int = FIT_ROWS) -> TextModel:
     """Multinomial model of hashed trigrams from at most ``fit_rows`` labelled rows a language."""
     labelled = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull())
@@ -55,7 +61,7 @@ def fit_text_model(spark: SparkSession, docs: DataFrame, fit_rows: int = FIT_ROW
 
     chosen = ranked.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy("k", "doc_id"))).where(F.col("r") <= fit_rows)
     ids = [r.doc_id for r in chosen.select("doc_id").collect()]  # at most fit_rows a language
-    rows = labelled.where(F.col("doc_id").isin(ids)).select("lang", F.lower("text").alias("t")).collect() if ids else []
+    rows = labelled.where(F.col("doc_id").isin(ids)).select("lang", letters_of(F.col("text")).alias("t")).collect() if ids else []
     languages = tuple(sorted({r.lang for r in rows}))
     counts = np.zeros((BUCKETS, len(languages) + 1))
     for r in rows:
@@ -128,9 +134,8 @@ def classify(rows: DataFrame, model: TextModel, min_posterior: float = MIN_POSTE
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            like, n = score_texts(batch.column("lowered"), shared.value)
-            letters = batch.column("letters").to_numpy(zero_copy_only=False).astype(bool)
-            seen = (n > 0) & letters
+            like, n = score_texts(batch.column("letters"), shared.value)
+            seen = (n > 0) & (pc.binary_length(pc.utf8_trim_whitespace(batch.column("letters"))).fill_null(0).to_numpy(zero_copy_only=False) > 0)
             like *= (np.minimum(n, TEXT_EVIDENCE) / np.maximum(n, 1))[:, None]
             like[~seen] = 0
             soft = like + prior
@@ -140,8 +145,7 @@ def classify(rows: DataFrame, model: TextModel, min_posterior: float = MIN_POSTE
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in carried), *lists, pa.array(seen)], [*carried, "like", "soft", "seen"])
 
     schema = T.StructType([*(rows.schema[c] for c in carried), T.StructField("like", T.ArrayType(T.DoubleType())), T.StructField("soft", T.ArrayType(T.DoubleType())), T.StructField("seen", T.BooleanType())])
-    lowered = rows.select(*carried, F.lower("text").alias("lowered"), F.coalesce(F.col("text").rlike(r"\p{L}"), F.lit(False)).alias("letters"))
-    scored = written(lowered.mapInArrow(score, schema), "langid")
+    scored = written(rows.select(*carried, letters_of(F.col("text")).alias("letters")).mapInArrow(score, schema), "langid")
 
     def sums(by: str) -> DataFrame:
         some = scored.where(F.col(by).isNotNull() & F.col("seen"))

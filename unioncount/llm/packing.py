@@ -21,6 +21,8 @@ from .common import table, written
 CAPACITY = 2048
 ROUNDS = 400
 SALTS = 32
+#: Share of the scarcest count that a round covers, the rate at which weights fall, and the fill of rounded configurations.
+STEP, RATE, FULL = 0.25, 0.3, 0.999
 
 
 def length_of(text: Column) -> Column:
@@ -28,10 +30,11 @@ def length_of(text: Column) -> Column:
     return F.coalesce(F.regexp_count(text, F.lit(r"\S+")), F.lit(0)) + 1
 
 
-def best_configuration(lengths: np.ndarray, values: np.ndarray, counts: np.ndarray, capacity: int) -> dict[int, int]:
-    """Knapsack by dynamic programming: the most valuable multiset of lengths that fits; ``{index: copies}``.
+def best_configuration(lengths: np.ndarray, values: np.ndarray, counts: np.ndarray, capacity: int) -> tuple[dict[int, int], float]:
+    """Knapsack by dynamic programming: a valuable multiset of lengths that fits, as ``{index: copies}``.
 
-    A length is used no more often than there are pieces of it.
+    The second result is the most that any multiset is worth, where a length may be used without end.  In the first no
+    length is used more often than there are pieces of it; room that this leaves goes to the densest lengths that fit.
     """
     best = np.zeros(capacity + 1)
     took = np.full(capacity + 1, -1)
@@ -44,25 +47,31 @@ def best_configuration(lengths: np.ndarray, values: np.ndarray, counts: np.ndarr
         else:
             best[c] = best[c - 1]
     chosen: Counter = Counter()
-    c = capacity
+    c, room = capacity, capacity
     while c > 0:
-        i = took[c]
+        i = int(took[c])
         if i < 0:
             c -= 1
             continue
-        if best[c] == best[c - 1]:
-            c -= 1
-            continue
-        chosen[int(i)] += 1
+        if chosen[i] < counts[i]:
+            chosen[i] += 1
+            room -= int(lengths[i])
         c -= int(lengths[i])
-    return {i: min(k, int(counts[i])) for i, k in chosen.items()}
+    if room >= lengths[0]:
+        for i in np.argsort(-values / lengths, kind="stable"):
+            k = min(int(counts[i]) - chosen[int(i)], room // int(lengths[i]))
+            if k > 0:
+                chosen[int(i)] += k
+                room -= k * int(lengths[i])
+    return dict(chosen), float(best[capacity])
 
 
 def solve(histogram: dict[int, int], capacity: int, rounds: int = ROUNDS) -> tuple[list[tuple[dict[int, int], int]], float]:
     """Whole configurations with multiplicities that hold each piece just once, and a lower bound of the bins needed.
 
     Multiplicative weights on the dual: a length's weight falls as the chosen configurations cover its count.  The
-    bound is the best dual value seen (weights scaled so that no configuration is worth more than one bin).
+    bound is the best dual value seen (weights scaled so that no configuration is worth more than one bin), or the
+    total length if that asks for more.  Plain best-fit decreasing is taken where it needs no more bins.
     """
     lengths = np.array(sorted(histogram), np.int64)
     if not len(lengths):
@@ -72,32 +81,30 @@ def solve(histogram: dict[int, int], capacity: int, rounds: int = ROUNDS) -> tup
     covered = np.zeros(len(lengths))
     used: Counter = Counter()
     bound = float(np.ceil((lengths * counts).sum() / capacity - 1e-9))
-    width = 0.25
     for _ in range(rounds):
-        chosen = best_configuration(lengths, weights, counts, capacity)
-        if not chosen:
-            break
-        worth = sum(weights[i] * k for i, k in chosen.items())
-        bound = max(bound, float((weights * counts).sum() / max(worth, 1e-300)))
+        chosen, worth = best_configuration(lengths, weights, counts, capacity)
+        bound = max(bound, float((weights * counts).sum() / worth))
         index = np.fromiter(chosen, int)
         rate = np.array([chosen[i] for i in index]) / counts[index]  # share of each count that one such bin covers
-        step = width / rate.max()
+        step = STEP / rate.max()
         used[tuple(sorted(chosen.items()))] += step
         covered[index] += step * rate
-        weights[index] *= np.exp(-0.3 * step * rate)
-        weights /= weights.max()
+        weights[index] *= np.exp(-RATE * step * rate)
     scale = float(counts @ lengths) / max(float((covered * counts) @ lengths), 1e-300)  # covers the corpus once on average
     left = counts.astype(np.int64)
     plan: list[tuple[dict[int, int], int]] = []
     fill = {c: sum(int(lengths[i]) * k for i, k in c) for c in used}
     for config in sorted(used, key=lambda c: (-fill[c], -used[c], c)):
         most = min(int(left[i]) // k for i, k in config)
-        times = min(most, int(used[config] * scale))
+        times = min(most, int(used[config] * scale)) if fill[config] >= FULL * capacity else 0
         if times > 0:
             plan.append((dict(config), times))
             for i, k in config:
                 left[i] -= k * times
     plan += best_fit_decreasing(lengths, left, capacity)
+    plain = best_fit_decreasing(lengths, counts.astype(np.int64), capacity)
+    if sum(t for _, t in plain) < sum(t for _, t in plan):
+        plan = plain
     return [({int(lengths[i]): k for i, k in config.items()}, times) for config, times in plan], bound
 
 

@@ -21,11 +21,15 @@ from pyspark.sql import functions as F
 from .common import table, worker_cache
 
 #: Labelled documents that the field is fitted to: those of each class with the least hash of their id.
-FIT_TOXIC, FIT_CLEAN = 1200, 2400
+FIT_TOXIC, FIT_CLEAN = 1000, 2000
 FEATURES = 1 << 18
+#: Marginal from which a token belongs to a span.
 THRESHOLD = 0.5
-#: A form is toxic if it is in this share of the toxic documents at least, and this many times more often there.
-LEAST_SHARE, LEAST_DOCS, LEAST_RATIO = 0.008, 3, 50.0
+#: A form is toxic if it is in so many and in this share of the toxic documents at least, and this many times more often
+#: there than in clean ones.
+RULES = ((5, 0.008, 50.0), (8, 0.03, 5.0))
+#: A clean document that is called toxic weighs as much as so many toxic ones that are missed, when the cut is set.
+CLEAN_WEIGHT = 4.0
 LANE, EPOCHS = 32, 60
 _WORD = re.compile(r"\w+")
 
@@ -38,11 +42,15 @@ def features_of(word: str) -> list[int]:
 
 @dataclass(frozen=True)
 class Field:
-    """``weights``: of features, for toxic against clean; ``transition[i, j]`` and ``start`` in logs."""
+    """``weights``: of features, for toxic against clean; ``transition[i, j]`` and ``start`` in logs.
+
+    ``cut``: sum of the marginals of likely toxic tokens from which a document is toxic.
+    """
 
     weights: np.ndarray
     transition: np.ndarray
     start: np.ndarray
+    cut: float = 0.5
 
     def emission(self, word: str) -> float:
         return float(self.weights[features_of(word)].sum())
@@ -159,8 +167,20 @@ def toxic_forms(toxic: list[set[str]], clean: list[set[str]]) -> set[str]:
 
     toxic, clean = once(toxic), once(clean)
     bad, good = count(toxic), count(clean)
-    least = max(LEAST_DOCS, LEAST_SHARE * len(toxic))
-    return {x for x, n in bad.items() if n >= least and n / max(1, len(toxic)) >= LEAST_RATIO * (good[x] + 0.02) / max(1, len(clean))}
+    t, c = max(1, len(toxic)), max(1, len(clean))
+    return {x for x, n in bad.items() if any(n >= least and n / t >= share and n / t >= ratio * (good[x] + 0.02) / c for least, share, ratio in RULES)}
+
+
+def best_cut(scores: np.ndarray, toxic: np.ndarray) -> float:
+    """Between two scores of the fitted documents: where missed toxic and wrongly called clean ones cost least."""
+    if not toxic.any() or toxic.all():
+        return 0.5
+    order = np.argsort(-scores, kind="stable")
+    s, y = scores[order], toxic[order]
+    gain = np.cumsum(y / toxic.sum() - CLEAN_WEIGHT * ~y / (~toxic).sum())
+    gain[:-1][s[:-1] == s[1:]] = -np.inf
+    i = int(gain.argmax())
+    return float(max(0.05, (s[i] + (s[i + 1] if i + 1 < len(s) else 0.0)) / 2))
 
 
 def fit(toxic: list[str], clean: list[str], epochs: int = EPOCHS, rate: float = 0.4) -> Field:
@@ -196,7 +216,11 @@ def fit(toxic: list[str], clean: list[str], epochs: int = EPOCHS, rate: float =
         transition += 0.5 * rate * g / np.sqrt(squares_t)
     if not label.any():  # without toxic examples nothing is toxic
         weights[features_of("")[1]] = -40.0
-    return Field(weights.astype(np.float32), transition, start)
+    weights = weights.astype(np.float32)
+    emission = np.bincount(row, weights=weights[feature], minlength=len(kinds))[kind] if len(kind) else np.zeros(0)
+    p, _, _ = marginals(emission, lengths, transition, start)
+    score = np.bincount(np.repeat(np.arange(len(words)), lengths), weights=np.where(p >= THRESHOLD, p, 0), minlength=len(words))
+    return Field(weights, transition, start, best_cut(score, np.arange(len(words)) < len(toxic)))
 
 
 def sample(docs: DataFrame, labels: DataFrame) -> tuple[list[str], list[str]]:
@@ -224,11 +248,12 @@ class _Emissions(dict):
 
 
 def tag(docs: DataFrame, field: Field, threshold: float = THRESHOLD) -> DataFrame:
-    """``doc_id, score, expected, toxic, spans`` for every row of ``docs``.
+    """``doc_id, score, peak, toxic, spans`` for every row of ``docs``.
 
-    ``score`` is the greatest marginal of a token, ``expected`` the sum of all, ``spans`` the character offsets (in the
-    lower-cased text, end exclusive) of runs of tokens at or over ``threshold``.  Null, empty and wordless texts score 0;
-    repeated rows get equal results.
+    ``score`` is the sum of the marginals at or over ``threshold``, ``peak`` the greatest marginal; a document is toxic
+    if its score reaches the field's cut.  ``spans`` are the character offsets (in the lower-cased
+    text, end exclusive) of runs of tokens at or over ``threshold``.  Null, empty
+    and wordless texts score 0; repeated rows get equal results.
     """
     shared = docs.sparkSession.sparkContext.broadcast(field)  # of fixed size
 
@@ -250,13 +275,13 @@ def tag(docs: DataFrame, field: Field, threshold: float = THRESHOLD) -> DataFram
                 emission = np.fromiter((get(w) for x in words for w in x), float, int(lengths.sum()))
                 p, _, _ = marginals(emission, lengths, field.transition, field.start)
                 ends = np.cumsum(lengths)
-                score, expected, spans = [], [], []
+                score, peak, spans = [], [], []
                 for i, (a, b) in enumerate(zip(ends - lengths, ends)):
                     mine = p[a:b]
-                    score.append(float(mine.max()) if b > a else 0.0)
-                    expected.append(float(mine.sum()))
+                    score.append(float(mine[mine >= threshold].sum()))
+                    peak.append(float(mine.max()) if b > a else 0.0)
                     found: list[dict] = []
-                    if score[-1] >= threshold:
+                    if peak[-1] >= threshold:
                         last = -2
                         for k, match in enumerate(_WORD.finditer(texts[lo + i])):
                             if mine[k] >= threshold:
@@ -267,12 +292,12 @@ def tag(docs: DataFrame, field: Field, threshold: float = THRESHOLD) -> DataFram
                                 last = k
                     spans.append(found)
                 yield pa.RecordBatch.from_arrays(
-                    [whole.column("doc_id").slice(lo, hi - lo), pa.array(np.round(score, 6)), pa.array(np.round(expected, 6)), pa.array([x >= threshold for x in score]), pa.array(spans, pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())])))],
-                    ["doc_id", "score", "expected", "toxic", "spans"],
+                    [whole.column("doc_id").slice(lo, hi - lo), pa.array(np.round(score, 6)), pa.array(np.round(peak, 6)), pa.array([x >= field.cut for x in score]), pa.array(spans, pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())])))],
+                    ["doc_id", "score", "peak", "toxic", "spans"],
                 )
                 lo = hi
 
-    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").mapInArrow(run, "doc_id bigint, score double, expected double, toxic boolean, spans array<struct<start:int,end:int>>")
+    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").mapInArrow(run, "doc_id bigint, score double, peak double, toxic boolean, spans array<struct<start:int,end:int>>")
 
 
 def op7_toxic_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
