@@ -1,4 +1,6 @@
 """All queries of the engine and the SQL that gives the same rows."""
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from . import methods
+
+QUERIES: dict = dict(methods.QUERIES)
+ORACLES: dict = dict(methods.ORACLES)
