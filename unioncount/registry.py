@@ -1,6 +1,6 @@
 """All queries of the engine and the SQL that gives the same rows."""
 
-from . import experiments, methods  # noqa: F401  (experiments adds its queries to methods)
+from . import experiments, methods, relops, streaming  # noqa: F401  (they add their queries to those of methods)
 
 QUERIES: dict = dict(methods.QUERIES)
 ORACLES: dict = dict(methods.ORACLES)
