@@ -370,7 +370,11 @@ def mac_check(s, d):
     return rows.select("cell", F.col("p").cast("string").alias("product"), F.col("q").cast("string").alias("total"), (F.col("p_ok") & F.col("q_ok")).alias("mac_ok"))
 
 
-@query(f"SELECT i::BIGINT AS cell, cp::INT AS cp, CASE WHEN cp = 0 THEN {hash_sql('i::VARCHAR', 's|v|0')}::HUGEINT WHEN cp = 1 THEN {hash_sql('i::VARCHAR', 's|v|1')}::HUGEINT ELSE ((i - {hash_sql('i::VARCHAR', 's|v|0')}::HUGEINT - {hash_sql('i::VARCHAR', 's|v|1')}::HUGEINT) % {P61} + {P61}) % {P61} END::VARCHAR AS val FROM (SELECT unnest(range(40)) AS i), (SELECT unnest(range(3)) AS cp)")
+def _element_sql(tag: str) -> str:
+    return f"(({hash_sql('i::VARCHAR', f's|{tag}|0')}::HUGEINT * {1 << 60} + {hash_sql('i::VARCHAR', f's|{tag}|1')}::HUGEINT) % {P61})"
+
+
+@query(f"SELECT i::BIGINT AS cell, cp::INT AS cp, CASE WHEN cp = 0 THEN {_element_sql('v|0')} WHEN cp = 1 THEN {_element_sql('v|1')} ELSE ((i - {_element_sql('v|0')} - {_element_sql('v|1')}) % {P61} + {P61}) % {P61} END::VARCHAR AS val FROM (SELECT unnest(range(40)) AS i), (SELECT unnest(range(3)) AS cp)")
 def share_values(s, d):
     """Shares themselves, a row for each party, under reproducible randomness."""
     rows = s.range(40).select(F.col("id").alias("cell"), shares.deal(F.col("id").cast("decimal(38,0)"), F.col("id"), KEYS, "s", "").column().alias("s"))

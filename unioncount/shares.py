@@ -50,8 +50,9 @@ class Shared:
 
 
 def seeded(cell: Column, seed: str, tag: str) -> Column:
-    """A reproducible field element (60 uniform bits)."""
-    return hash60(cell.cast("string"), f"{seed}|{tag}").cast("decimal(38,0)")
+    """A reproducible uniform field element, from 120 bits."""
+    half = lambda k: hash60(cell.cast("string"), f"{seed}|{tag}|{k}").cast("decimal(19,0)")
+    return field.reduce_(half(0) * F.lit(1 << 60).cast("decimal(19,0)") + half(1))
 
 
 def _split(value: Column, cell: Column, c: int, seed: str, tag: str) -> Column:

@@ -39,7 +39,7 @@ def zero_test(df: DataFrame, name: str, out: str, bits: int, keys: Keys, seed: s
     work = df.withColumn("a_", shares.deal(field.reduce_(mask), at, keys, seed, tag + "|sa").column())
     for t in range(n):
         work = work.withColumn(f"a{t}_", shares.deal(bit(low, t).cast("decimal(38,0)"), at, keys, seed, f"{tag}|b{t}").column())
-    work = work.withColumn("R_", (shares.seeded(at, seed, tag + "|R") + 1).cast("decimal(38,0)"))
+    work = work.withColumn("R_", (F.pmod(shares.seeded(at, seed, tag + "|R"), F.lit(P61 - 1).cast("decimal(38,0)")) + 1).cast("decimal(38,0)"))
     work = work.withColumn("inv_", shares.deal(field.inverse(F.col("R_")), at, keys, seed, tag + "|inv").column())
     for t in range(1, degree + 1):
         work = work.withColumn(f"R{t}_", shares.deal(field.power(F.col("R_"), t), at, keys, seed, f"{tag}|R{t}").column())
