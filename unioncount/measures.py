@@ -58,6 +58,18 @@ def comm_cost(kind: str, n: int, m: int, d: int, c: int, bits: int | None = None
     return {"w": w, "online_bytes": inputs + openings, "offline_bytes": offline, "rounds": rounds}
 
 
+def cost_mr_mpc(n: int, m: int, d: int, c: int) -> dict[str, int]:
+    """Registers under the same machinery: a secure maximum for each register and holder after the first.
+
+    A comparison of registers of ``b`` bits takes ``2 b`` products of two openings each, and choosing takes one more.
+    """
+    w = choose_width("mr", n, m)
+    b = (w - 1).bit_length()
+    comparisons = m * (d - 1)
+    products = comparisons * (2 * b + 1)
+    return {"w": w, "comparisons": comparisons, "online_bytes": products * 2 * c * (c - 1) * FIELD_BYTES + d * (m * b + 1) * 2 * c * FIELD_BYTES, "rounds": (d - 1) * (b + 1)}
+
+
 def phase_seconds(cost: dict[str, int], rtt: float, bandwidth: float, per_element: float = 2e-8) -> dict[str, float]:
     """Modelled phase times: rounds at the round-trip time, bytes at the bandwidth, and work per element."""
     run = lambda b: b / bandwidth + b / FIELD_BYTES * per_element

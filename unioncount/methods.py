@@ -531,6 +531,70 @@ QUERIES["gen_sets"] = QUERIES.pop("gen_sets_query")
 ORACLES["gen_sets"] = ORACLES.pop("gen_sets_query")
 
 
+_BY_D = [(n, m, dd, 5) for n in (10**5, 10**6) for m in (1024, 4096) for dd in (5, 20)]
+
+
+@query(
+    "SELECT n::BIGINT AS n, m::INT AS m, d::INT AS d, c::INT AS c, w::INT AS w, (m * (d - 1))::BIGINT AS comparisons, (m * (d - 1) * (2 * b + 1) * 2 * c * (c - 1) * 8 + d * (m * b + 1) * 2 * c * 8)::BIGINT AS online_bytes FROM "
+    "(SELECT *, ceil(log2(w))::BIGINT AS b FROM (SELECT *, greatest(2, ceil(log2(n / m::DOUBLE) + 6))::BIGINT AS w FROM (VALUES " + ", ".join(str(x) for x in _BY_D) + ") AS g(n, m, d, c)))"
+)
+def mr_mpc_cost(s, d):
+    """What secure maxima of registers would cost."""
+    rows = [(n, m, dd, c, x["w"], x["comparisons"], x["online_bytes"]) for n, m, dd, c in _BY_D for x in [measures.cost_mr_mpc(n, m, dd, c)]]
+    return s.createDataFrame(rows, "n bigint, m int, d int, c int, w int, comparisons bigint, online_bytes bigint")
+
+
+@query("SELECT kind, n::BIGINT AS n, m::INT AS m, (CASE WHEN kind = 'fz' THEN n::BIGINT * m ELSE n END)::BIGINT AS hashes FROM (VALUES (1000), (100000), (10000000), (1000000000)) AS a(n), (VALUES (1024), (4096)) AS b(m), (VALUES ('zc'), ('mr'), ('fz')) AS k(kind)")
+def hash_ops_table(s, d):
+    """Hashes that a holder of ``n`` elements computes."""
+    rows = [(k, n, m, measures.hash_ops(k, n, m)) for n in (10**3, 10**5, 10**7, 10**9) for m in (1024, 4096) for k in ("zc", "mr", "fz")]
+    return s.createDataFrame(rows, "kind string, n bigint, m int, hashes bigint")
+
+
+@query(f"SELECT bits::INT AS bits, least(1.0, CASE WHEN pow(2.0, bits - 1) - 4096 * 14 <= 0 THEN 1.0 ELSE 2 * exp(-pow(pow(2.0, bits - 1) - 4096 * 14, 2) / (2 * 20 * 18.634 * 18.634)) END)::DOUBLE AS risk FROM (VALUES (17), (18), (32)) AS g(bits)")
+def wrap_risk_table(s, d):
+    """Chance that statistic and noise wrap around a field of so many bits."""
+    return s.createDataFrame([(b, float(min(1.0, field.wrap_risk(18.634, 20, 4096, 14, 2**b)))) for b in (17, 18, 32)], "bits int, risk double")
+
+
+_FZ_CAND = f"SELECT 'p' || i::VARCHAR AS holder, 'p' || i::VARCHAR AS element FROM (SELECT unnest(range(300)) AS i) UNION ALL SELECT DISTINCT element, element FROM ({ORDERS})"
+
+
+@query(
+    f"SELECT count(*) AS candidates, count(*) FILTER (c > 0) AS flagged, count(*) FILTER (c > 0 AND NOT starts_with(holder, 'p')) AS wrongly_flagged FROM (SELECT holder, sum({low_sql('(coalesce(u.bits, 0) | n.bits)', MINI.w)} - {low_sql('coalesce(u.bits, 0)', MINI.w)}) AS c FROM ({fz_sql(_FZ_CAND, MINI)}) n LEFT JOIN ({fz_sql(ORDERS, MINI, '')}) u ON n.arr = u.arr GROUP BY holder)"
+)
+def audit_first_zero(s, d):
+    """Membership audit of the unnoised first-zero sum: a candidate that moves it is in no holder's set."""
+    df = fixture("patients", s, d)
+    probes = s.range(300).select(F.concat(F.lit("p"), F.col("id").cast("string")).alias("element"))
+    candidates = probes.union(df.select("element").distinct()).select(F.col("element").alias("holder"), "element")
+    union = sketches.merge(sketches.fz_sketch(df, MINI)).withColumnRenamed("bits", "old")
+    both = sketches.fz_sketch(candidates, MINI).join(union, "arr", "left").withColumn("old", F.coalesce("old", F.lit(0).cast("bigint")))
+    moved = sketches.lowest_zero(F.col("old").bitwiseOR(F.col("bits")), MINI.w) - sketches.lowest_zero(F.col("old"), MINI.w)
+    change = both.groupBy("holder").agg(F.sum(moved).alias("c"))
+    return change.agg(F.count("*").alias("candidates"), F.count_if(F.col("c") > 0).alias("flagged"), F.count_if((F.col("c") > 0) & ~F.col("holder").startswith("p")).alias("wrongly_flagged"))
+
+
+@query(
+    f"WITH c AS ({_CAND}), e AS (SELECT * FROM c UNION ALL SELECT 'absent|' || element, TRUE FROM c), u AS ({zc_sql(DOCS, ORACLE, '')}), t AS (SELECT absent, (1 - ((coalesce(bits, 0) >> x) & 1)) + noise.n > 0 AS flag FROM (SELECT absent, {_PLACE[0]} AS a, {_PLACE[1]} AS x FROM e) LEFT JOIN u ON a = u.arr, (SELECT sum(noise) AS n FROM ({_NOISE})) noise) "
+    "SELECT absent, count(*) AS candidates, count(*) FILTER (flag) AS flagged FROM t GROUP BY absent"
+)
+def audit_zero_count_noisy(s, d):
+    """The same attack on the noisy release: flags no longer depend on whether a candidate is absent."""
+    df = fixture("docs_text", s, d)
+    union = sketches.merge(sketches.zc_sketch(df, ORACLE))
+    own = df.where("holder = 'src0'").select("element").distinct()
+    others = df.where("holder <> 'src0'").select("element").distinct().join(own, "element", "left_anti")
+    both = others.union(others.select(F.concat(F.lit("absent|"), "element")))
+    total = noise_per_holder(s, d).agg(F.sum("noise").alias("n"))
+    at = audit.placed(both, ORACLE).join(union, "arr", "left").crossJoin(total)
+    change = 1 - F.call_function("shiftright", F.coalesce("bits", F.lit(0).cast("bigint")), F.col("x")).bitwiseAND(F.lit(1))
+    return at.groupBy(F.col("element").startswith("absent|").alias("absent")).agg(F.count("*").alias("candidates"), F.count_if(change + F.col("n") > 0).alias("flagged"))
+
+
+QUERIES["audit_zero_count"], ORACLES["audit_zero_count"] = QUERIES["membership_audit"], ORACLES["membership_audit"]
+
+
 # scenarios
 
 

@@ -36,23 +36,23 @@ def zero_test(df: DataFrame, name: str, out: str, bits: int, keys: Keys, seed: s
     mask = low.cast("decimal(38,0)") if literal else (high * (1 << bits) + low).cast("decimal(38,0)")
     bit = lambda x, t: F.shiftrightunsigned(x, t).bitwiseAND(F.lit(1))
     # offline: the mask, its compared bits, a random factor with its inverse and powers
-    work = df.withColumn("a_", shares.deal(field.reduce_(mask), at, keys, seed, tag + "|sa").column())
+    offline = {"a_": shares.deal(field.reduce_(mask), at, keys, seed, tag + "|sa").column()}
     for t in range(n):
-        work = work.withColumn(f"a{t}_", shares.deal(bit(low, t).cast("decimal(38,0)"), at, keys, seed, f"{tag}|b{t}").column())
-    work = work.withColumn("R_", (F.pmod(shares.seeded(at, seed, tag + "|R"), F.lit(P61 - 1).cast("decimal(38,0)")) + 1).cast("decimal(38,0)"))
-    work = work.withColumn("inv_", shares.deal(field.inverse(F.col("R_")), at, keys, seed, tag + "|inv").column())
+        offline[f"a{t}_"] = shares.deal(bit(low, t).cast("decimal(38,0)"), at, keys, seed, f"{tag}|b{t}").column()
+    offline["R_"] = (F.pmod(shares.seeded(at, seed, tag + "|R"), F.lit(P61 - 1).cast("decimal(38,0)")) + 1).cast("decimal(38,0)")
+    powers = {"inv_": shares.deal(field.inverse(F.col("R_")), at, keys, seed, tag + "|inv").column()}
     for t in range(1, degree + 1):
-        work = work.withColumn(f"R{t}_", shares.deal(field.power(F.col("R_"), t), at, keys, seed, f"{tag}|R{t}").column())
+        powers[f"R{t}_"] = shares.deal(field.power(F.col("R_"), t), at, keys, seed, f"{tag}|R{t}").column()
+    work = df.withColumns(offline).withColumns(powers)
     # online: three openings
-    work = work.withColumn("r_", shares.add(Shared.of(name), Shared.of("a_")).column())
-    work = work.withColumn("ro_", shares.open_(Shared.of("r_")))
+    work = work.withColumn("r_", shares.add(Shared.of(name), Shared.of("a_")).column()).withColumn("ro_", shares.open_(Shared.of("r_")))
     opened = F.col("ro_").cast("bigint")
     h = None
     for t in range(n):
         rt = bit(opened, t).cast("decimal(38,0)")
         term = shares.add_public(shares.scale(Shared.of(f"a{t}_"), field.sub(field.constant(1), field.mul(field.constant(2), rt))), rt, keys)
         h = term if h is None else shares.add(h, term)
-        if t % 4 == 3 or t == n - 1:  # named now and then, lest the expression grow
+        if t % 8 == 7 or t == n - 1:  # named now and then, lest the expression grow
             work = work.withColumn("h_", h.column())
             h = Shared.of("h_")
     work = work.withColumn("h1_", shares.add_public(Shared.of("h_"), field.constant(1), keys).column())
@@ -63,10 +63,13 @@ def zero_test(df: DataFrame, name: str, out: str, bits: int, keys: Keys, seed: s
         ok = ok & shares.mac_ok(x, value, keys)
     work = work.withColumn(f"{out}_ok", ok)
     beta = field.lookup_poly(degree)
-    work = work.withColumn("b_", shares.scale(Shared.of("R1_"), field.mul(F.col("go_"), field.constant(beta[1]))).column())
-    for t in range(2, degree + 1):
-        factor = field.mul(field.power(F.col("go_"), t), field.constant(beta[t]))
-        work = work.withColumn("b_", shares.add(Shared.of("b_"), shares.scale(Shared.of(f"R{t}_"), factor)).column())
+    total = None
+    for t in range(1, degree + 1):
+        term = shares.scale(Shared.of(f"R{t}_"), field.mul(field.power(F.col("go_"), t), field.constant(beta[t])))
+        total = term if total is None else shares.add(total, term)
+        if t % 8 == 0 or t == degree:
+            work = work.withColumn("b_", total.column())
+            total = Shared.of("b_")
     work = work.withColumn(out, shares.add_public(Shared.of("b_"), field.constant(beta[0]), keys).column())
     return work.select(*df.columns, out, f"{out}_ok")
 
