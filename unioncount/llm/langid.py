@@ -149,7 +149,9 @@ def classify(rows: DataFrame, model: TextModel, min_posterior: float = MIN_POSTE
 
     def sums(by: str) -> DataFrame:
         some = scored.where(F.col(by).isNotNull() & F.col("seen"))
-        return some.groupBy(by).agg(F.array(*[F.sum(F.col("soft")[i]) for i in range(k)]).alias(f"{by}_n"))
+        # written, so that the size is known when the join is planned: a small table is broadcast, and no row with a
+        # frequent or absent host is shuffled; a large one is joined by host
+        return written(some.groupBy(by).agg(F.array(*[F.sum(F.col("soft")[i]) for i in range(k)]).alias(f"{by}_n")), f"langid-{by}")
 
     base = scored.where("seen").agg(*[F.coalesce(F.sum(F.col("soft")[i]), F.lit(0.0)).alias(f"c{i}") for i in range(k)]).first()
     total = np.array([float(x) for x in base])
