@@ -20,7 +20,7 @@ from .sources import fixture, fixture_sql, load
 from .theory import zc_rse
 
 RUNS = 40
-GRID_M, GRID_EPS, GRID_D = (1024, 2048, 4096, 8192), (0.1, 0.2, 0.3, 0.4, 0.5), (5, 10, 15, 20, 25)
+GRID_M, GRID_EPS, GRID_D = (1024, 2048, 4096, 8192), tuple(k / 10 for k in range(1, 6)), (5, 10, 15, 20, 25)
 
 
 def generated(spark: SparkSession, n: int) -> DataFrame:

@@ -278,7 +278,7 @@ def eps_inf_table(s, d):
     return s.createDataFrame([(e, round(privacy.cdp_to_dp(e, 1e-12), 4)) for e in (0.012, 0.05, 0.1, 0.5, 1.0)], "eps_c double, eps_inf double")
 
 
-_DIST = [(e, dd) for e in (0.1, 0.2, 0.3, 0.4, 0.5) for dd in (5, 10, 15, 20, 25)]
+_DIST = [(e, dd) for e in (k / 10 for k in range(1, 6)) for dd in (5, 10, 15, 20, 25)]
 
 
 @query("SELECT eps, d::INT AS d, round(1 / (sqrt(d) * (sqrt(k * k + 2 * eps) - k)), 4) AS sigma, round(1 / (sqrt(d - 1) * (sqrt(k * k + 2 * eps) - k)), 4) AS sigma_curious FROM (SELECT eps, d, sqrt(-2 * ln(1e-12)) AS k FROM (VALUES " + ", ".join(f"({e!r}::DOUBLE, {dd})" for e, dd in _DIST) + ") AS g(eps, d))")

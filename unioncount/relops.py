@@ -614,7 +614,7 @@ def udtf_grid(s, d):
         def eval(self):
             for m in (1024, 2048, 4096, 8192):
                 for h in (5, 10, 15, 20, 25):
-                    for e in (0.1, 0.2, 0.3, 0.4, 0.5):
+                    for e in (k / 10 for k in range(1, 6)):
                         yield m, h, e
 
     return Grid()
