@@ -53,11 +53,24 @@ def vocabulary_counts(docs: DataFrame, ranks: dict[bytes, int]) -> DataFrame:
     return totals.mapInArrow(pieces, "piece string, total bigint, n int")
 
 
+def frequency_cut(counted: DataFrame, frequent: int) -> int:
+    """Least number of occurrences that at most ``frequent`` pre-tokens reach, from a histogram of eighths of octaves."""
+    eighth = F.floor(F.log2("total") * 8)
+    bins = counted.groupBy(eighth.alias("b")).agg(F.count("*").alias("n"), F.min("total").alias("least")).collect()
+    cut, room = 1 << 62, frequent
+    for r in sorted(bins, key=lambda r: -r.b):
+        room -= r.n
+        if room < 0:
+            break
+        cut = r.least
+    return cut
+
+
 def token_counts(docs: DataFrame, ranks: dict[bytes, int], frequent: int = FREQUENT) -> DataFrame:
     """``doc_id, n_tokens`` for every row of ``docs``, repeated rows and ids included; null and empty texts have 0."""
     spark = docs.sparkSession
     counted = written(vocabulary_counts(docs, ranks), "vocabulary")
-    hot = {r.piece: r.n for r in counted.orderBy(F.desc("total"), "piece").limit(frequent).select("piece", "n").collect()}
+    hot = {r.piece: r.n for r in counted.where(F.col("total") >= frequency_cut(counted, frequent)).select("piece", "n").collect()}
     shared = spark.sparkContext.broadcast(hot)
 
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
