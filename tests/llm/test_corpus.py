@@ -492,6 +492,19 @@ def test_toxicity_awkward(spark, awkward):
     assert toxic == [] and len(clean) == 1
 
 
+def test_written_tables_can_be_cleared(spark, monkeypatch):
+    from pathlib import Path
+
+    from unioncount.llm import common
+
+    monkeypatch.setattr(common, "_WRITTEN", [])
+    written(spark.range(3), "brief")
+    path = Path(common._WRITTEN[0].removeprefix("file://"))
+    assert path.is_dir()
+    common.clear_written(spark)
+    assert not path.exists() and common._WRITTEN == []
+
+
 # pipeline
 
 
