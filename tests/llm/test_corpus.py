@@ -434,6 +434,66 @@ def test_passages_awkward(spark, awkward):
     assert substrings.repeated_passages(empty(spark)).count() == 0
 
 
+def pairs_brute(texts: dict, t: int) -> set:
+    """Maximal common spans of at least ``t`` words of every two documents, pair by pair."""
+    words = {i: x.split() for i, x in texts.items()}
+    at = {i: defaultdict(list) for i in words}
+    for i, w in words.items():
+        for s in range(len(w) - t + 1):
+            at[i][tuple(w[s : s + t])].append(s)
+    out = set()
+    for a in words:
+        for b in words:
+            if a < b:
+                hits = {(x, y) for k in at[a].keys() & at[b].keys() for x in at[a][k] for y in at[b][k]}
+                for x, y in hits:
+                    if (x - 1, y - 1) not in hits:
+                        n = 0
+                        while (x + n, y + n) in hits:
+                            n += 1
+                        out.add((a, x, b, y, n + t - 1))
+    return out
+
+
+def pairs_found(shared, t: int) -> set:
+    got = [(r.a, r.a_start, r.b, r.b_start, r.n_words) if r.a < r.b else (r.b, r.b_start, r.a, r.a_start, r.n_words) for r in substrings.passage_pairs(shared, t).collect()]
+    assert len(got) == len(set(got))
+    return set(got)
+
+
+def test_passage_pairs_equal_pairwise_brute_force(spark, docs):
+    hot, x, y = prose(70, 1), prose(90, 2), prose(55, 3)
+    made = {
+        0: f"{x} {prose(30, 4)}", 1: f"{prose(9, 5)} {' '.join(x.split()[:60])} {prose(20, 6)}", 2: f"{prose(12, 7)} {' '.join(x.split()[11:71])}", 3: f"{' '.join(x.split()[5:])} {y}",
+        4: f"{y} {prose(60, 8)} {y}", **{10 + i: f"{prose(i, 9 + i)} {' '.join(hot.split()[i % 5 : 70 - i % 7])} {prose(8, 40 + i)}" for i in range(12)},
+    }
+    part = docs.where("doc_id < 150")
+    for rows, sizes in ((made, ((50, 20), (12, 5))), ({r.doc_id: r.text for r in part.collect()}, ((50, 20),))):
+        df = spark.createDataFrame([(i, v) for i, v in rows.items()] + [next(iter(rows.items()))], "doc_id bigint, text string")
+        for t, seed in sizes:
+            shared = written(substrings.shared_passages(df, t, seed), "shared")
+            want = pairs_brute(rows, t)
+            assert want and pairs_found(shared, t) == want
+            for r in shared.groupBy("passage").agg(F.count_distinct("row").alias("n"), F.min("n_docs").alias("a"), F.max("n_docs").alias("b"), F.count_distinct("n_words").alias("k")).collect():
+                assert r.n == r.a == r.b > 1 and r.k == 1
+            if rows is made:
+                partners = defaultdict(set)
+                for a, _, b, _, _ in want:
+                    partners[a].add(b)
+                    partners[b].add(a)
+                got = defaultdict(set)
+                for r in substrings.repeated_passages(df, t, seed).collect():
+                    got[r.doc_id] |= set(r.partners)
+                assert got == partners
+
+
+def test_runs_of_different_partners_stay_apart(spark):
+    x = prose(71, 77).split()
+    rows = [(1, " ".join(x)), (2, " ".join(x[:60])), (3, " ".join(x[11:]))]
+    got = substrings.shared_passages(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()
+    assert sorted((r.doc_id, r.start_word, r.n_words) for r in got) == [(1, 0, 60), (1, 11, 60), (2, 0, 60), (3, 0, 60)]
+
+
 # toxicity
 
 
