@@ -22,6 +22,20 @@ def test_query(spark, smoke_dir, con, name):
         assert df.columns and df.count() >= 0
 
 
+def test_daily_release_is_of_the_union(spark, smoke_dir, con):
+    from pyspark.sql import functions as F
+    from unioncount.methods import z_sql, zc_sql
+    from unioncount.noise import draw
+    from unioncount.params import ORACLE
+    from unioncount.streaming import _TUMBLE
+
+    union = dict(con.sql(z_sql(zc_sql(_TUMBLE, ORACLE, "start"), ORACLE, "start")).fetchall())
+    holder = dict(con.sql(f"SELECT start, min(z) FROM ({z_sql(zc_sql(_TUMBLE, ORACLE, 'start, holder'), ORACLE, 'start, holder')}) GROUP BY start").fetchall())
+    released = QUERIES["stream_private_reach"](spark, smoke_dir)
+    without = draw(released, F.col("start").cast("string"), "stream", 4.0).select("start", (F.col("z_noisy") - F.col("noise")).alias("z")).collect()
+    assert {r.start: r.z for r in without} == union and union != holder
+
+
 def test_entry(spark):
     import __spark_entry__ as e
 

@@ -159,10 +159,18 @@ def stream_merge_table(s, d):
     return s.read.schema(schema).parquet(f"{path}/v{state['version']}")
 
 
+@query(z_sql(zc_sql(_TUMBLE, ORACLE, "start"), ORACLE, "start"))
+def stream_daily_union(s, d):
+    """Zeros of each day's union: the sketches of its holders are merged by OR."""
+    merged = sketches.merge(finish(window_sketch(events(s, d), "1 day"), "complete"), ("start",))
+    return sketches.zero_total(merged, ORACLE, ("start",))
+
+
 @query()
 def stream_private_reach(s, d):
-    """A noisy release for each day, each charged to a ledger; days are disjoint in time but not in users, so they add up."""
-    z = window_zeros(finish(window_sketch(events(s, d), "1 day"), "complete")).groupBy("start").agg(F.min("z").alias("z"))
+    """A noisy release of the zeros of each day's union (``stream_daily_union``), each charged to a ledger; days are
+    disjoint in time but not in users, so they add up."""
+    z = stream_daily_union(s, d)
     sigma = 4.0
     days = z.count()
     ledger = privacy.PrivacyLedger(limit=days * 0.5 / sigma**2)
