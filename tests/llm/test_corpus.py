@@ -142,9 +142,38 @@ def test_near_awkward(spark, awkward):
     assert simhash.stage_near(spark, empty(spark), "").count() == 0
 
 
+def test_texts_under_one_id_are_documents_of_their_own(spark):
+    p, q = prose(150, 1).split(), prose(150, 2).split()
+    near = lambda w: " ".join(["changed", *w[1:70], "too", *w[71:]])
+    p, q, near_p, near_q = " ".join(p), " ".join(q), near(p), near(q)
+    rows = [(3, p, "en", "a", 1), (3, q, "en", "a", 1), (1, near_q, "en", "a", 1), (9, near_p, "en", "a", 1), (3, p, "en", "b", 1), (5, near(prose(150, 7).split()), "en", "a", 1), (5, prose(150, 7), "en", "a", 1)]
+    got = simhash.stage_near(spark, spark.createDataFrame(rows, DOCS), "").collect()
+    kept = Counter((r.doc_id, r.text) for r in got)
+    assert kept[3, p] == 2 and kept[1, near_q] == 1 and sum(v for (i, _), v in kept.items() if i == 5) == 1 and len(got) == 4
+
+
 # language
 
 
+def test_rows_without_id_are_judged_by_their_text(spark, docs):
+    some = docs.limit(200).withColumn("doc_id", F.when(F.col("doc_id") % 2 == 0, F.col("doc_id")))
+    extra = spark.createDataFrame([(None, "!!! 123", "en", "a", 7), (None, None, "en", "a", 0)], DOCS)
+    some = written(some.unionByName(extra), "no-id")
+    got = langid.stage_language(spark, some, "")
+    assert got.where("doc_id is null").count() == some.where("doc_id is null").count() - 2
+    assert not {r.text for r in got.collect()} & {"!!! 123", None}
+
+
+def test_a_language_without_blanks_keeps_its_evidence(spark, docs):
+    r = random.Random(8)
+    signs = [chr(0x4E00 + i) for i in range(300)]
+    rows = [(100_000 + i, "".join(r.choice(signs) for _ in range(60)) + str(i) + "".join(r.choice(signs) for _ in range(60)), "zz", "s", 1) for i in range(80)]
+    got = langid.stage_language(spark, docs.limit(200).unionByName(spark.createDataFrame(rows, DOCS)), "")
+    assert got.where("lang = 'zz'").count() == 80
+    letters = spark.createDataFrame([("甲乙2024丙 a@b.org丁 see https://x.org/a1戊",)], "t string").select(langid.letters_of(F.col("t"))).first()[0]
+    assert letters.split() == ["甲乙", "丙", "丁", "see", "戊"]
+
+
 def test_language_held_out(spark, docs):
     model = langid.fit_text_model(spark, docs.where("doc_id % 2 = 0"), 60)
     rest = docs.where("doc_id % 2 = 1")

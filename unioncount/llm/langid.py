@@ -47,8 +47,9 @@ def trigram_codes(data: np.ndarray) -> np.ndarray:
 
 
 def letters_of(text: Column) -> Column:
-    """Lower-cased words of letters; numbers, addresses, keys and signs say nothing of a language."""
-    return F.regexp_replace(F.lower(text), r"\S*[0-9@]\S*|[^\p{L}]+", " ")
+    """Lower-cased letters; addresses, digits and signs say nothing of a language.  What touches them stays, as a
+    language written without blanks is one run with them."""
+    return F.regexp_replace(F.lower(text), r"(?:https?://|www\.)[!-~]+|[a-z0-9._%+-]*@[a-z0-9.-]+|[^\p{L}]+", " ")
 
 
 def fit_text_model(spark: SparkSession, docs: DataFrame, fit_rows: int = FIT_ROWS) -> TextModel:
@@ -195,11 +196,11 @@ def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def stage_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keep the documents whose language is known; columns as given.  Rows with a null ``doc_id`` are dropped,
-    as nothing can be decided for them by id; repeated rows of an id are kept or dropped by their own text."""
-    key, = fresh(docs, "langid_key")
+    """Keep the documents whose language is known; columns as given.  Rows of one id, or without id, are kept or dropped
+    by their own text and source."""
+    key, ident, bad_key = fresh(docs, "langid_key", "langid_id", "langid_bad")
     model = fit_text_model(spark, docs)
-    keyed = docs.withColumn(key, F.xxhash64("text"))
+    keyed = docs.withColumn(key, F.xxhash64("text", F.lit(1), "source"))
     verdict = classify(keyed.select("doc_id", key, "text", F.col("source").alias("host"), *[F.lit(None).cast("string").alias(c) for c in ("domain", "suffix", "declared")]), model)
-    bad = verdict.where("rejected").select("doc_id", key).distinct()
-    return keyed.where("doc_id is not null").join(bad, ["doc_id", key], "left_anti").select(*docs.columns)
+    bad = verdict.where("rejected").select(F.col("doc_id").alias(ident), F.col(key).alias(bad_key)).distinct()
+    return keyed.join(bad, F.col("doc_id").eqNullSafe(F.col(ident)) & (F.col(key) == F.col(bad_key)), "left_anti").select(*docs.columns)

@@ -52,8 +52,8 @@ def fingerprint(words: np.ndarray) -> np.ndarray:
 
 
 def fingerprints(docs: DataFrame) -> DataFrame:
-    """``doc_id, f0..f3``; rows with a null id or without any word have no fingerprint."""
-    hashed = docs.where(F.col("doc_id").isNotNull()).select("doc_id", word_hashes(F.col("text")).alias("words")).where(F.size("words") > 0)
+    """``doc_id, text_hash, f0..f3``; rows with a null id or without any word have no fingerprint."""
+    hashed = docs.where(F.col("doc_id").isNotNull()).select("doc_id", F.xxhash64("text").alias("text_hash"), word_hashes(F.col("text")).alias("words")).where(F.size("words") > 0)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -61,9 +61,9 @@ def fingerprints(docs: DataFrame) -> DataFrame:
             fp = np.empty((batch.num_rows, WORDS64), np.uint64)
             for i in range(batch.num_rows):
                 fp[i] = fingerprint(values[off[i] : off[i + 1]])
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(fp[:, j].view(np.int64)) for j in range(WORDS64))], ["doc_id", *_FP])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text_hash"), *(pa.array(fp[:, j].view(np.int64)) for j in range(WORDS64))], ["doc_id", "text_hash", *_FP])
 
-    return hashed.mapInArrow(run, T.StructType([docs.schema["doc_id"], *(T.StructField(c, T.LongType()) for c in _FP)]))
+    return hashed.mapInArrow(run, T.StructType([docs.schema["doc_id"], *(T.StructField(c, T.LongType()) for c in ("text_hash", *_FP))]))
 
 
 def distances(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -220,16 +220,23 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, radius: int = RADIUS, shard_size: float = SHARD_SIZE) -> DataFrame:
-    """``doc_id, keep_id``: every document of a near-duplicate group but its least id, with that least id.
+    """``doc_id, keep_id, text_hash, keep_text_hash``: every document of a near-duplicate group but its least, with that.
 
-    Groups are the connected components of pairs within ``radius`` bits.  Texts without words and rows without id
-    belong to no group.  Rows that repeat a ``doc_id`` are one document.  Equal fingerprints are distance 0.
+    A document is an id and a text (``text_hash``): rows that repeat both are one document, other texts under the same
+    id are documents of their own.  Groups are the connected components of pairs within ``radius`` bits; the least
+    document has the least id, then fingerprint, then text hash.  Texts without words and rows without id belong to no
+    group.  Equal fingerprints are distance 0.
     """
     fps = written(fingerprints(docs), "simhash")
-    distinct = written(fps.groupBy(*_FP).agg(F.min("doc_id").alias("rep")), "simhash-distinct").select(F.col("rep").cast("bigint").alias("rep"), *_FP)
-    groups = components(near_edges(distinct, radius, shard_size))
-    roots = distinct.join(groups, F.col("rep") == F.col("node"), "left").select(*_FP, F.coalesce("root", "rep").alias("keep_id"))
-    return fps.join(roots, _FP).where("doc_id <> keep_id").select("doc_id", "keep_id").distinct()
+    least = F.min(F.struct("doc_id", "text_hash")).alias("least")
+    # nodes are numbered in the order of their least document, and written, so that the numbers stay
+    numbered = fps.groupBy(*_FP).agg(least).orderBy("least.doc_id", *_FP).select(F.monotonically_increasing_id().alias("rep"), "least", *_FP)
+    distinct = written(numbered, "simhash-distinct")
+    groups = components(near_edges(distinct.select("rep", *_FP), radius, shard_size))
+    roots = distinct.join(groups, F.col("rep") == F.col("node"), "left").select(*_FP, F.coalesce("root", "rep").alias("root"))
+    keep = distinct.select(F.col("rep").alias("root"), F.col("least.doc_id").alias("keep_id"), F.col("least.text_hash").alias("keep_text_hash"))
+    found = fps.join(roots.join(keep, "root"), _FP).where("doc_id <> keep_id or text_hash <> keep_text_hash")
+    return found.select("doc_id", "keep_id", "text_hash", "keep_text_hash").distinct()
 
 
 def op4_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -238,8 +245,9 @@ def op4_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def stage_near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group stays: the least id; documents without id or words all stay."""
+    """One document of each near-duplicate group stays: the least id; documents without id or words all stay.  Rows are
+    dropped by id and text, so another text under the same id stays."""
     drop = near_duplicates(docs)
-    ident, = fresh(docs, "near_drop_id")
-    drop = drop.select(F.col("doc_id").alias(ident)).distinct()
-    return docs.join(drop, docs["doc_id"] == drop[ident], "left_anti")
+    ident, text = fresh(docs, "near_drop_id", "near_drop_text")
+    drop = drop.select(F.col("doc_id").alias(ident), F.col("text_hash").alias(text)).distinct()
+    return docs.join(drop, (docs["doc_id"] == drop[ident]) & (F.xxhash64(docs["text"]) == drop[text]), "left_anti")
