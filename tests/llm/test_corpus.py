@@ -142,6 +142,13 @@ def test_near_awkward(spark, awkward):
     assert simhash.stage_near(spark, empty(spark), "").count() == 0
 
 
+@pytest.mark.parametrize("n", [100, 1000, 10**4, 150_000, 10**6, 10**7, 10**9])
+def test_recall_at_the_radius_at_every_size(n):
+    bits, samplings = simhash.plan_samplings(n)
+    recall = lambda d: 1 - (1 - np.prod([(simhash.BITS - d - i) / (simhash.BITS - i) for i in range(bits)])) ** samplings
+    assert recall(simhash.RADIUS) >= 0.9 and recall(38) >= 0.97
+
+
 def test_texts_under_one_id_are_documents_of_their_own(spark):
     p, q = prose(150, 1).split(), prose(150, 2).split()
     near = lambda w: " ".join(["changed", *w[1:70], "too", *w[71:]])

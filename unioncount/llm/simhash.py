@@ -22,8 +22,8 @@ from .common import fresh, ragged, table, whole_groups, word_hashes, written
 BITS, WORDS64 = 256, 4
 #: Near duplicates differ in at most this many of the 256 bits.
 RADIUS = 52
-#: The number of samplings gives this recall to pairs at DESIGN_RATE of bits that differ, the usual near copy.
-DESIGN_RATE, DESIGN_RECALL = 0.15, 0.97
+#: The number of samplings gives at least this recall to pairs at the radius itself, and more to nearer ones.
+RADIUS_RECALL = 0.9
 #: Fingerprints of unrelated texts that are meant to share a shard; sets how many bits are sampled.
 SHARD_SIZE = 50
 _FP = [f"f{i}" for i in range(WORDS64)]
@@ -129,9 +129,11 @@ class Forest:
 
 
 def plan_samplings(n: int, shard_size: float = SHARD_SIZE) -> tuple[int, int]:
-    """Bits of a sampling and number of samplings for ``n`` fingerprints: shards stay small, recall stays the same."""
+    """Bits of a sampling and number of samplings for ``n`` fingerprints: shards stay small, and a pair at ``RADIUS``
+    shares a shard with probability ``RADIUS_RECALL`` whatever ``n``."""
     bits = min(48, max(6, math.ceil(math.log(max(1.0, n / shard_size)) / -math.log(0.53))))
-    return bits, math.ceil(math.log(1 - DESIGN_RECALL) / math.log(1 - (1 - DESIGN_RATE) ** bits))
+    together = math.comb(BITS - RADIUS, bits) / math.comb(BITS, bits)  # no sampled bit is one that differs
+    return bits, math.ceil(math.log(1 - RADIUS_RECALL) / math.log1p(-together))
 
 
 def near_edges(distinct: DataFrame, radius: int = RADIUS, shard_size: float = SHARD_SIZE) -> DataFrame:
