@@ -579,6 +579,12 @@ def test_spans_are_offsets(spark):
     assert [[(s.start, s.end) for s in r.spans] for r in got[1:]] == [[], [], [], [(3, 8)], []] and [r.toxic for r in got] == [True, False, False, False, True, False]
 
 
+def test_every_document_is_scored(spark, smoke_dir):
+    got = toxicity.op7_toxic_spans(spark, smoke_dir).collect()
+    assert Counter(r.doc_id for r in got) == Counter(r.doc_id for r in table(spark, smoke_dir, "documents").select("doc_id").collect())
+    assert {r.toxic for r in got} == {True, False} and all((r.peak >= toxicity.THRESHOLD) == bool(r.spans) for r in got)
+
+
 def test_toxicity_awkward(spark, awkward):
     field = toxicity.fit([], [])
     assert toxicity.tag(awkward, field).where("not toxic").count() == 15
