@@ -142,11 +142,41 @@ def test_near_awkward(spark, awkward):
     assert simhash.stage_near(spark, empty(spark), "").count() == 0
 
 
-@pytest.mark.parametrize("n", [100, 1000, 10**4, 150_000, 10**6, 10**7, 10**9])
+def pairs_at_the_radius(n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Sums of two texts whose signs differ in ``RADIUS`` places."""
+    rng = np.random.default_rng(11)
+    near = np.cos(np.pi * simhash.RADIUS / simhash.BITS)
+    x = rng.normal(size=(n, simhash.BITS))
+    y = near * x + np.sqrt(1 - near**2) * rng.normal(size=x.shape)
+    at = ((x > 0) != (y > 0)).sum(1) == simhash.RADIUS
+    return x[at], y[at]
+
+
+def test_chances_of_sharing_a_cell():
+    x, y = pairs_at_the_radius(30_000)
+    for size, p in simhash.MEET.items():
+        met = (simhash.cells_of(x, (size,), 8) == simhash.cells_of(y, (size,), 8)).mean()
+        assert abs(met - p) < 0.02, size
+
+
+@pytest.mark.parametrize("n", [1, 100, 1000, 10**4, 250_000, 10**6, 10**7, 10**9, 10**10])
 def test_recall_at_the_radius_at_every_size(n):
-    bits, samplings = simhash.plan_samplings(n)
-    recall = lambda d: 1 - (1 - np.prod([(simhash.BITS - d - i) / (simhash.BITS - i) for i in range(bits)])) ** samplings
-    assert recall(simhash.RADIUS) >= 0.9 and recall(38) >= 0.97
+    groups, rotations = simhash.plan_shards(n)
+    x, y = pairs_at_the_radius(30_000 if n < 10**8 else 8_000)
+    met = (simhash.cells_of(x, groups, rotations) == simhash.cells_of(y, groups, rotations)).any(axis=1).mean()
+    assert met > 0.87, (n, groups, rotations)  # 0.9 but for the error of some hundred pairs
+    assert rotations < 6 * max(2, n) ** 0.17
+
+
+def test_trees_leave_out_what_the_radius_excludes():
+    rng = np.random.default_rng(5)
+    centres = rng.integers(0, 2**63, (40, 4), dtype=np.uint64)
+    fps = np.repeat(centres, 20, axis=0)
+    for _ in range(6):
+        fps[np.arange(800), rng.integers(0, 4, 800)] ^= np.uint64(1) << rng.integers(0, 63, 800).astype(np.uint64)
+    forest = simhash.Forest(np.zeros(800, np.int64), fps)
+    found = {(int(a), int(b)) for q, n, _ in forest.within(4) for a, b in zip(q, n)}
+    assert found == near_brute(fps, 4) and forest.visited < 0.6 * 800 * 800
 
 
 def test_texts_under_one_id_are_documents_of_their_own(spark):

@@ -1,9 +1,10 @@
 """Near-duplicate search: 256-bit SimHash fingerprints, BK-trees over shards, groups by star contraction.
 
-A fingerprint is the sign pattern of a sum over the set of a text's words and word pairs.  Shards are buckets of
-sampled fingerprint bits; several samplings make a pair within the radius meet in at least one shard with the wanted
-recall.  Each shard has a BK-tree (children keyed by their integer Hamming distance to the parent), and every
-fingerprint of the shard is a query that follows only edges within the radius of its distance to the node.
+A fingerprint is the sign pattern of a sum over the set of a text's words and word pairs.  Shards are cells of random
+rotations of that sum (which of its rotated coordinates are the largest); several rotations make a pair within the
+radius meet in at least one shard with the wanted recall.  Each shard has a BK-tree (children keyed by their integer
+Hamming distance to the parent), and every fingerprint of the shard is a query that follows only edges within the radius
+of its distance to the node.
 """
 
 from __future__ import annotations
@@ -22,10 +23,13 @@ from .common import fresh, ragged, table, whole_groups, word_hashes, written
 BITS, WORDS64 = 256, 4
 #: Near duplicates differ in at most this many of the 256 bits.
 RADIUS = 52
-#: The number of samplings gives at least this recall to pairs at the radius itself, and more to nearer ones.
+#: The number of rotations gives at least this recall to pairs at the radius itself, and more to nearer ones.
 RADIUS_RECALL = 0.9
-#: Fingerprints of unrelated texts that are meant to share a shard; sets how many bits are sampled.
-SHARD_SIZE = 50
+#: Fingerprints of unrelated texts that are meant to share a shard; sets how fine the cells are.
+SHARD_SIZE = 32
+#: Chance that the largest of ``n`` rotated coordinates, with its sign, is the same for a pair at ``RADIUS``: simulated
+#: (a test does so again).
+MEET = {1: 0.798, 2: 0.637, 4: 0.535, 8: 0.460, 16: 0.404, 32: 0.354, 64: 0.311, 128: 0.275, 256: 0.243}
 _FP = [f"f{i}" for i in range(WORDS64)]
 
 
@@ -37,8 +41,8 @@ def _mix(x: np.ndarray, salt: int) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def fingerprint(words: np.ndarray) -> np.ndarray:
-    """Four 64-bit words of the SimHash of a text, from the hashes of its words; features are distinct words and pairs."""
+def feature_sums(words: np.ndarray) -> np.ndarray:
+    """``BITS`` sums of signs over a text's features, from the hashes of its words; features are distinct words and pairs."""
     w = words.view(np.uint64)
     features = np.unique(w)
     if len(w) > 1:
@@ -48,22 +52,69 @@ def fingerprint(words: np.ndarray) -> np.ndarray:
         part = features[lo : lo + 255]
         bits = np.unpackbits(np.column_stack([_mix(part, s) for s in range(WORDS64)]).view(np.uint8), axis=1)
         total += bits.view(np.uint64).sum(axis=0, dtype=np.uint64).view(np.uint8)
-    return np.packbits(2 * total > len(features)).view(np.uint64)
+    return 2 * total - len(features)
+
+
+def fingerprint(words: np.ndarray) -> np.ndarray:
+    """Four 64-bit words of the SimHash of a text: the signs of its sums."""
+    return np.packbits(feature_sums(words) > 0).view(np.uint64)
+
+
+_SIXTEEN = np.array([[(-1.0) ** (i & j).bit_count() for j in range(16)] for i in range(16)], np.float32)
+
+
+def rotated(sums: np.ndarray, seed: int) -> np.ndarray:
+    """Rows turned by random signs and a Hadamard matrix (of 16 x 16 blocks); lengths grow by a constant factor."""
+    x = sums.astype(np.float32) * np.random.default_rng(seed).choice(np.array([-1, 1], np.float32), BITS)
+    return (_SIXTEEN @ (x.reshape(-1, 16, 16) @ _SIXTEEN)).reshape(-1, BITS)
+
+
+def cells_of(sums: np.ndarray, groups: tuple[int, ...], rotations: int) -> np.ndarray:
+    """``[rows, rotations]``: for each rotation which coordinate of every group is the largest, and its sign."""
+    out = np.zeros((len(sums), rotations), np.int32)
+    at = np.arange(len(sums))
+    for t in range(rotations):
+        turned, lo = rotated(sums, t), 0
+        for size in groups:
+            part = turned[:, lo : lo + size]
+            best = np.abs(part).argmax(axis=1)
+            out[:, t] = out[:, t] * (2 * size) + 2 * best + (part[at, best] < 0)
+            lo += size
+    return out
 
 
-def fingerprints(docs: DataFrame) -> DataFrame:
-    """``doc_id, text_hash, f0..f3``; rows with a null id or without any word have no fingerprint."""
+def plan_shards(n: int, shard_size: float = SHARD_SIZE) -> tuple[tuple[int, ...], int]:
+    """Groups of rotated coordinates that make a cell, and number of rotations, for ``n`` texts: shards stay small, and
+    a pair at ``RADIUS`` shares one with probability ``RADIUS_RECALL`` whatever ``n``."""
+    sizes = tuple(MEET)
+    ways = [(a,) for a in sizes] + [(128, a) for a in sizes if a <= 128] + [(128, 64, a) for a in sizes if a <= 64] + [(64, 64, 64, a) for a in sizes if a <= 64]
+    cells = lambda w: math.prod(2 * a for a in w)
+    meet = lambda w: math.prod(MEET[a] for a in w)
+    fine = [w for w in ways if cells(w) * shard_size >= n] or [max(ways, key=cells)]
+    best = max(fine, key=meet)
+    return best, math.ceil(math.log(1 - RADIUS_RECALL) / math.log1p(-meet(best)))
+
+
+def fingerprints(docs: DataFrame, shard_size: float = SHARD_SIZE) -> DataFrame:
+    """``doc_id, text_hash, f0..f3, cells``; rows with a null id or without any word have no fingerprint.
+
+    ``cells`` has the text's cell of each rotation, as many as the number of rows asks for.
+    """
     hashed = docs.where(F.col("doc_id").isNotNull()).select("doc_id", F.xxhash64("text").alias("text_hash"), word_hashes(F.col("text")).alias("words")).where(F.size("words") > 0)
+    groups, rotations = plan_shards(docs.count(), shard_size)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             values, off = ragged(batch.column("words"))
-            fp = np.empty((batch.num_rows, WORDS64), np.uint64)
+            sums = np.empty((batch.num_rows, BITS), np.int64)
             for i in range(batch.num_rows):
-                fp[i] = fingerprint(values[off[i] : off[i + 1]])
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text_hash"), *(pa.array(fp[:, j].view(np.int64)) for j in range(WORDS64))], ["doc_id", "text_hash", *_FP])
+                sums[i] = feature_sums(values[off[i] : off[i + 1]])
+            fp = np.packbits(sums > 0, axis=1).view(np.uint64)
+            cells = pa.ListArray.from_arrays(pa.array(np.arange(0, len(sums) * rotations + 1, rotations), pa.int32()), pa.array(cells_of(sums, groups, rotations).ravel()))
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text_hash"), *(pa.array(fp[:, j].view(np.int64)) for j in range(WORDS64)), cells], ["doc_id", "text_hash", *_FP, "cells"])
 
-    return hashed.mapInArrow(run, T.StructType([docs.schema["doc_id"], *(T.StructField(c, T.LongType()) for c in ("text_hash", *_FP))]))
+    longs = [T.StructField(c, T.LongType()) for c in ("text_hash", *_FP)]
+    return hashed.mapInArrow(run, T.StructType([docs.schema["doc_id"], *longs, T.StructField("cells", T.ArrayType(T.IntegerType()))]))
 
 
 def distances(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -105,12 +156,16 @@ class Forest:
         self.root = roots[by][np.searchsorted(shard[roots][by], shard)]
 
     def within(self, radius: int, step: int = 1 << 20) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-        """``(query, node, distance)`` with query < node, of the same shard, and distance <= radius."""
-        n = len(self.fp)
+        """``(query, node, distance)`` with query < node, of the same shard, and distance <= radius.
+
+        ``visited`` counts the nodes that the queries meet.
+        """
+        n, self.visited = len(self.fp), 0
         stack = [(np.arange(lo, min(lo + step, n)), self.root[lo : lo + step]) for lo in range(0, n, step)]
         while stack:
             q, node = stack.pop()
             d = distances(self.fp[q], self.fp[node])
+            self.visited += len(q)
             hit = (d <= radius) & (q < node)
             if hit.any():
                 yield q[hit], node[hit], d[hit]
@@ -128,32 +183,10 @@ class Forest:
                 i = j
 
 
-def plan_samplings(n: int, shard_size: float = SHARD_SIZE) -> tuple[int, int]:
-    """Bits of a sampling and number of samplings for ``n`` fingerprints: shards stay small, and a pair at ``RADIUS``
-    shares a shard with probability ``RADIUS_RECALL`` whatever ``n``."""
-    bits = min(48, max(6, math.ceil(math.log(max(1.0, n / shard_size)) / -math.log(0.53))))
-    together = math.comb(BITS - RADIUS, bits) / math.comb(BITS, bits)  # no sampled bit is one that differs
-    return bits, math.ceil(math.log(1 - RADIUS_RECALL) / math.log1p(-together))
-
-
-def near_edges(distinct: DataFrame, radius: int = RADIUS, shard_size: float = SHARD_SIZE) -> DataFrame:
+def near_edges(distinct: DataFrame, radius: int = RADIUS) -> DataFrame:
     """``a, b``: for each shard, links that join the fingerprints within the radius of each other (``a < b`` by id)."""
-    bits, samplings = plan_samplings(distinct.count(), shard_size)
-    rng = np.random.default_rng(20)
-    picks = [np.sort(rng.choice(BITS, bits, replace=False)) for _ in range(samplings)]
-    powers = np.left_shift(np.uint64(1), np.arange(bits, dtype=np.uint64))
-
-    def shards(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            cols = [batch.column(c) for c in ("rep", *_FP)]
-            fp = np.column_stack([c.to_numpy() for c in cols[1:]]).view(np.uint64)
-            on = np.unpackbits(fp.view(np.uint8), axis=1)
-            for t, pick in enumerate(picks):
-                key = _mix((on[:, pick].astype(np.uint64) * powers).sum(axis=1, dtype=np.uint64), t)
-                yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), *cols], ["shard", "rep", *_FP])
-
     long = T.LongType()
-    rows = distinct.mapInArrow(shards, T.StructType([T.StructField(c, long) for c in ("shard", "rep", *_FP)]))
+    rows = distinct.select("rep", *_FP, F.posexplode("cells").alias("t", "cell")).select(F.xxhash64("t", "cell").alias("shard"), "rep", *_FP)
 
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for group in whole_groups(batches, "shard"):
@@ -229,15 +262,15 @@ def near_duplicates(docs: DataFrame, radius: int = RADIUS, shard_size: float = S
     document has the least id, then fingerprint, then text hash.  Texts without words and rows without id belong to no
     group.  Equal fingerprints are distance 0.
     """
-    fps = written(fingerprints(docs), "simhash")
-    least = F.min(F.struct("doc_id", "text_hash")).alias("least")
+    fps = written(fingerprints(docs, shard_size), "simhash")
+    least = F.min(F.struct("doc_id", "text_hash", "cells")).alias("least")
     # nodes are numbered in the order of their least document, and written, so that the numbers stay
     numbered = fps.groupBy(*_FP).agg(least).orderBy("least.doc_id", *_FP).select(F.monotonically_increasing_id().alias("rep"), "least", *_FP)
     distinct = written(numbered, "simhash-distinct")
-    groups = components(near_edges(distinct.select("rep", *_FP), radius, shard_size))
+    groups = components(near_edges(distinct.select("rep", *_FP, F.col("least.cells").alias("cells")), radius))
     roots = distinct.join(groups, F.col("rep") == F.col("node"), "left").select(*_FP, F.coalesce("root", "rep").alias("root"))
     keep = distinct.select(F.col("rep").alias("root"), F.col("least.doc_id").alias("keep_id"), F.col("least.text_hash").alias("keep_text_hash"))
-    found = fps.join(roots.join(keep, "root"), _FP).where("doc_id <> keep_id or text_hash <> keep_text_hash")
+    found = fps.drop("cells").join(roots.join(keep, "root"), _FP).where("doc_id <> keep_id or text_hash <> keep_text_hash")
     return found.select("doc_id", "keep_id", "text_hash", "keep_text_hash").distinct()
 
 
