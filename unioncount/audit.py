@@ -13,14 +13,15 @@ from .shares import Shared
 from .sketches import fz_sketch, lowest_zero, merge, zc_sketch
 
 
-def placed(df: DataFrame, p: SketchParams) -> DataFrame:
-    """``element, arr, x`` of distinct elements."""
-    h = hash60(F.col("element"), p.key, p.hash)
+def placed(df: DataFrame, p: SketchParams, key: str | None = None) -> DataFrame:
+    """``element, arr, x`` of distinct elements; under ``key`` if one who lacks the holders' key guesses."""
+    h = hash60(F.col("element"), p.key if key is None else key, p.hash)
     return df.select("element").distinct().select("element", bucket(h, p).alias("arr"), rank(h, p).alias("x"))
 
 
-def audit_membership(df: DataFrame, curious: str, p: SketchParams) -> DataFrame:
-    """``candidates, flagged, wrongly_flagged`` for a holder that knows the hash and sees the exact statistic.
+def audit_membership(df: DataFrame, curious: str, p: SketchParams, guess: str | None = None) -> DataFrame:
+    """``candidates, flagged, wrongly_flagged`` for a holder that knows the hash (or guesses its key) and sees the exact
+    statistic.
 
     It adds a candidate to the union's arrays: where a cell would change, no holder can have the element.  Candidates
     are all elements that the curious holder lacks, and as many made-up ones.
@@ -29,7 +30,7 @@ def audit_membership(df: DataFrame, curious: str, p: SketchParams) -> DataFrame:
     own = df.where(F.col("holder") == curious).select("element").distinct()
     others = df.where(F.col("holder") != curious).select("element").distinct().join(own, "element", "left_anti")
     made_up = others.select(F.concat(F.lit("absent|"), "element").alias("element"))
-    candidates = placed(others.union(made_up), p).join(union, "arr", "left")
+    candidates = placed(others.union(made_up), p, guess).join(union, "arr", "left")
     empty = F.call_function("shiftright", F.coalesce("bits", F.lit(0).cast("bigint")), F.col("x")).bitwiseAND(F.lit(1)) == 0
     told = candidates.select(empty.alias("flag"), F.col("element").startswith("absent|").alias("absent"))
     return told.agg(F.count("*").alias("candidates"), F.count(F.when(F.col("flag"), 1)).alias("flagged"), F.count(F.when(F.col("flag") & ~F.col("absent"), 1)).alias("wrongly_flagged"))

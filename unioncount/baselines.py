@@ -4,16 +4,16 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from . import shares
+from . import field, shares
 from .hashing import hash60, uniform
 from .params import ProtocolConfig, SketchParams
-from .protocol import offline_setup, secure_merge
+from .protocol import offline_phase, offline_setup, secure_merge
 from .shares import Shared
 from .sketches import fz_sketch
-from .zerotest import opened_column
+from .storage import written
 
 
 def exact_union(df: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
@@ -25,28 +25,37 @@ def sum_local(df: DataFrame) -> DataFrame:
     return df.groupBy("holder").agg(F.count_distinct("element").alias("n")).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n_sum"))
 
 
-def run_fz_mpc(df: DataFrame, cfg: ProtocolConfig, holders: int) -> DataFrame:
-    """First-zero sketch under the same sharing, without noise: ``z_star, mac_ok``.
+def run_fz_mpc(df: DataFrame, cfg: ProtocolConfig, holders: int, cheat=None) -> DataFrame:
+    """First-zero sketch under the same sharing, without noise: ``z_star, mac_ok``; nothing is released if a check fails.
 
     The index of an array's lowest zero is the sum of its prefix products of bits, so each array takes ``w - 1``
-    products one after the other.
+    products one after the other: a fold over the list of its bits, with a dealt triple each.
     """
-    keys, p = offline_setup(cfg), cfg.sketch
-    merged = secure_merge(fz_sketch(df, p), cfg, keys, holders)
-    rows = merged.groupBy("arr").pivot("bit", list(range(p.w))).agg(F.first("b"))
-    rows = rows.select("arr", *[F.col(str(x)).alias(f"b{x}") for x in range(p.w)]).withColumn("y0", F.col("b0"))
-    ok = F.lit(True)
-    for x in range(1, p.w):
-        product, seen = shares.multiply(Shared.of(f"y{x - 1}"), Shared.of(f"b{x}"), F.col("arr"), keys, cfg.seed, f"prefix{x}")
-        rows = rows.withColumn(f"y{x}", product.column())
-        for s, value in seen:
-            ok = ok & shares.mac_ok(s, value, keys)
-    total = Shared.of("y0")
-    for x in range(1, p.w):
-        total = shares.add(total, Shared.of(f"y{x}"))
-    rows = rows.select(total.column().alias("t"), ok.alias("ok"))
-    opened = opened_column(shares.sum_shares(rows, [], "t", cfg.c), "t", "o", keys)
-    return opened.crossJoin(rows.agg(F.min("ok").alias("ok"))).crossJoin(merged.agg(F.min("ok").alias("cells"))).select(F.col("o").cast("bigint").alias("z_star"), (F.col("o_ok") & F.col("ok") & F.col("cells")).alias("mac_ok"))
+    keys, p, c = offline_setup(cfg), cfg.sketch, cfg.c
+    sketch = fz_sketch(df, p)
+    material = offline_phase(df, cfg, keys, holders)
+    merged = secure_merge(sketch, cfg, keys, holders, material, cheat)
+    with field.using(cfg.prime):
+        grid = df.sparkSession.range(p.m).select(F.col("id").cast("int").alias("arr"))
+        each = F.sequence(F.lit(1), F.lit(p.w - 1))
+        draw = lambda kind: F.transform(each, lambda x: shares.seeded(F.concat_ws("|", F.col("arr").cast("string"), x.cast("string")), cfg.seed, f"prefix{kind}"))
+        secret = grid.withColumns({"u": draw("u"), "v": draw("v")}).withColumn("uv", F.zip_with("u", "v", lambda a, b: field.mul(a, b)))
+        triples = written(secret.select("arr", *[shares.deal_list(F.col(x), F.col("arr"), keys, cfg.seed, f"prefixshare{x}").alias(x) for x in ("u", "v", "uv")]), "triples")
+        lists = merged.groupBy("arr").agg(F.array_sort(F.collect_list(F.struct("bit", "b"))).alias("bits"), shares.residual_sum("sigma", c).alias("sigma"), F.sum(F.size("seen")).alias("opened"))
+        rows = lists.join(triples, "arr").withColumn("bits", F.transform("bits", lambda b: b["b"]))
+        start = F.struct(rows["bits"][0]["val"].alias("yv"), rows["bits"][0]["mac"].alias("ym"), rows["bits"][0]["val"].alias("tv"), rows["bits"][0]["mac"].alias("tm"), rows["sigma"].alias("sigma"))
+
+        def step(acc: Column, x: Column) -> Column:
+            y, seen = shares.multiply_dealt(Shared(acc["yv"], acc["ym"]), shares.at(F.col("bits"), x), *[shares.at(F.col(k), x - 1) for k in ("u", "v", "uv")], keys)
+            check = shares.batched(seen, F.concat_ws("|", F.col("arr").cast("string"), x.cast("string")), keys, cfg.seed, "prefixcheck")
+            t = shares.add(Shared(acc["tv"], acc["tm"]), y)
+            return F.struct(y.val.alias("yv"), y.mac.alias("ym"), t.val.alias("tv"), t.mac.alias("tm"), F.zip_with(acc["sigma"], check, lambda a, b: field.add(a, b)).alias("sigma"))
+
+        done = rows.withColumn("end", F.aggregate(each, start, step)).select(F.struct(F.col("end.tv").alias("val"), F.col("end.tm").alias("mac")).alias("t"), F.col("end.sigma").alias("sigma"))
+        total = done.agg(shares.share_sum("t", c).alias("t"), shares.residual_sum("sigma", c).alias("sigma")).withColumn("o", shares.open_(Shared.of("t")))
+        last = shares.batched([(Shared.of("t"), F.col("o"))], F.lit("release"), keys, cfg.seed, "check")
+        ok = shares.cancels(F.zip_with("sigma", last, lambda a, b: field.add(a, b)))
+        return total.select(F.when(ok, F.col("o").cast("bigint")).alias("z_star"), ok.alias("mac_ok"))
 
 
 def bins_estimate(df: DataFrame, bins: int, coins: int, key: str = "k", seed: str = "s") -> DataFrame:
@@ -84,6 +93,3 @@ def builtin_estimates(df: DataFrame, rsd: float = 0.02) -> DataFrame:
     """Spark's own estimators on the same elements."""
     return df.agg(F.approx_count_distinct("element", rsd).alias("approx"), F.hll_sketch_estimate(F.hll_sketch_agg("element")).alias("hll"), F.theta_sketch_estimate(F.theta_sketch_agg("element")).alias("theta"), F.count_distinct("element").alias("n_true"))
 
-
-def fz_params(m: int, w: int, key: str = "k") -> SketchParams:
-    return SketchParams(m, w, key)

@@ -12,10 +12,10 @@ from pyspark.sql import functions as F
 from . import audit, baselines, field, measures, noise, privacy, protocol, shares, sketches, theory
 from .estimate import alpha, bisect_sql, fz_estimate, mr_estimate, mr_mean_estimate, zc_estimate
 from .hashing import hash_sql, place_sql, rank_sql, uniform
-from .params import ORACLE, P61, ProtocolConfig, SketchParams, choose_width
+from .params import ORACLE, P61, P72, STUDY_EPS_D, ProtocolConfig, SketchParams, choose_width, fresh_seed
 from .shares import Keys, Shared
 from .sources import fixture, fixture_sql, gen_sets, load
-from .zerotest import opened_column, zero_test
+from .zerotest import opened_column, test_bits, zero_test
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -23,6 +23,9 @@ GOODS = SketchParams(1024, 12)
 FZ = SketchParams(64, 20)
 MINI = SketchParams(8, 6)
 CFG = ProtocolConfig(ORACLE, c=3, sigma=2.0, seed="s")
+#: The smaller grid of the published cost studies: 1,024 arrays, 20 holders, five parties, their share of the noise.
+STUDY = SketchParams(1024, 13)
+STUDY_CFG = ProtocolConfig(STUDY, c=5, sigma=round(1 / (math.sqrt(20) * STUDY_EPS_D), 3), seed="s")
 
 
 def query(sql: str | None = None, name: str | None = None):
@@ -381,19 +384,45 @@ def share_values(s, d):
     return shares.long_view(rows, "s").select("cell", "cp", F.col("val").cast("string").alias("val"))
 
 
-def _tested(s: SparkSession, variant: str) -> DataFrame:
-    rows = s.range(21 * 20).select(F.col("id").alias("cell"), (F.col("id") % 21).cast("int").alias("x"))
-    shared = rows.withColumn("s", shares.share_input(F.col("x").cast("decimal(38,0)"), F.col("cell"), KEYS, "s", "z").column())
-    tested = zero_test(shared, "s", "b", 5, KEYS, "s", "t", variant)
-    opened = opened_column(tested, "b", "o", KEYS)
-    return opened.groupBy("x").agg(F.min(F.col("o").cast("int")).alias("b_min"), F.max(F.col("o").cast("int")).alias("b_max"), F.min(F.col("o_ok") & F.col("b_ok")).alias("mac_ok"))
+def _tested(s: SparkSession, variant: str, prime: int = P61, reps: int = 20) -> DataFrame:
+    with field.using(prime):
+        keys = Keys.agree(3, "s")
+        rows = s.range(21 * reps).select(F.col("id").alias("cell"), (F.col("id") % 21).cast("int").alias("x"))
+        shared = rows.withColumn("s", shares.share_input(F.col("x").cast("decimal(38,0)"), F.col("cell"), keys, "s", "z").column())
+        opened = opened_column(zero_test(shared, "s", "b", 5, keys, "s", "t", variant), "b", "o", keys)
+        return opened.groupBy("x").agg(F.min(F.col("o").cast("int")).alias("b_min"), F.max(F.col("o").cast("int")).alias("b_max"), F.min(F.col("o_ok") & F.col("b_ok")).alias("mac_ok"))
 
 
-@query("SELECT x::INT AS x, (x > 0)::INT AS b_min, (x > 0)::INT AS b_max, TRUE AS mac_ok FROM (SELECT unnest(range(21)) AS x)")
+_TESTED = "SELECT x::INT AS x, (x > 0)::INT AS b_min, (x > 0)::INT AS b_max, TRUE AS mac_ok FROM (SELECT unnest(range(21)) AS x)"
+
+
+@query(_TESTED)
 def zero_test_all(s, d):
     return _tested(s, "masked")
 
 
+@query(_TESTED)
+def zero_test_literal(s, d):
+    """Masks of as many bits as the prime has: next to a power of two they misread with a chance of 2^-61."""
+    return _tested(s, "literal", reps=4)
+
+
+@query(_TESTED)
+def zero_test_wide_field(s, d):
+    """The same in the field of 72 bits, where products go limb by limb."""
+    return _tested(s, "masked", P72, 4)
+
+
+@query(f"SELECT count(*) AS cells, count(*) FILTER ({hash_sql('i::VARCHAR', 's|t|a|1')} % 8192 >= 8111) AS misread, TRUE AS mac_ok FROM (SELECT unnest(range(3000)) AS i)")
+def zero_test_misreads(s, d):
+    """What literal masks do in a small field: of 13 bits under the prime 8111, masks of 8111 and more read 0 as 1."""
+    with field.using(8111):
+        keys = Keys.agree(2, "s")
+        rows = s.range(3000).select(F.col("id").alias("cell"), shares.share_input(field.constant(0), F.col("id"), keys, "s", "z").column().alias("s"))
+        opened = opened_column(zero_test(rows, "s", "b", 5, keys, "s", "t", "literal"), "b", "o", keys)
+        return opened.agg(F.count("*").alias("cells"), F.count_if(F.col("o") != 0).alias("misread"), F.min(F.col("o_ok") & F.col("b_ok")).alias("mac_ok"))
+
+
 @query("SELECT x::INT AS x, CASE WHEN x = 1 THEN 0 ELSE 1 END::VARCHAR AS value FROM (SELECT unnest(range(1, 7)) AS x)")
 def lookup_poly(s, d):
     beta = field.lookup_poly(5)
@@ -404,27 +433,102 @@ def _cells_sql(bits: str, p: SketchParams) -> str:
     return f"SELECT (i // {p.w})::INT AS arr, (i % {p.w})::INT AS bit, ((coalesce(bits, 0) >> (i % {p.w})) & 1)::INT AS plain FROM (SELECT unnest(range({p.m * p.w})) AS i) LEFT JOIN ({bits}) ON arr = i // {p.w}"
 
 
-@query(f"SELECT arr, bit, plain, plain AS secure, TRUE AS mac_ok FROM ({_cells_sql(zc_sql(DOCS, MINI, ''), MINI)})")
+@query(f"SELECT arr, bit, plain, plain AS secure, TRUE AS mac_ok FROM ({_cells_sql(zc_sql(DOCS, ORACLE, ''), ORACLE)})")
 def secure_merge_equals_plain(s, d):
-    cfg = ProtocolConfig(MINI, 3, 2.0, "s")
-    sketch = sketches.zc_sketch(fixture("docs_text", s, d), MINI)
-    merged = protocol.secure_merge(sketch, cfg, protocol.offline_setup(cfg), 20)
-    opened = opened_column(merged, "b", "o", protocol.offline_setup(cfg))
+    cfg = ProtocolConfig(ORACLE, 3, 2.0, "s")
+    sketch = sketches.zc_sketch(fixture("docs_text", s, d), ORACLE)
+    keys = protocol.offline_setup(cfg)
+    opened = opened_column(protocol.secure_merge(sketch, cfg, keys, 20), "b", "o", keys)
     plain = sketches.merge(sketch)
     bit = F.call_function("shiftright", F.coalesce("bits", F.lit(0).cast("bigint")), F.col("bit")).bitwiseAND(F.lit(1)).cast("int")
     return opened.join(plain, "arr", "left").select("arr", "bit", bit.alias("plain"), F.col("o").cast("int").alias("secure"), (F.col("ok") & F.col("o_ok")).alias("mac_ok"))
 
 
-@query(f"SELECT z_noisy, n_hat, TRUE AS mac_ok, clamped FROM ({_RELEASE})")
+def _bytes_sql(cfg: ProtocolConfig, holders: int, relation: str) -> str:
+    """What the phases send by the formulas of the cost model, for the holders that there are."""
+    c, q, n, k = cfg.c, -(-cfg.prime.bit_length() // 8), cfg.sketch.m * cfg.sketch.w, test_bits(holders)
+    pair = c * (c - 1) * q
+    return f"SELECT (d * {(n + 1) * 2 * c * q} + {(4 * n + 2) * pair})::BIGINT AS online_bytes, ({(2 * k + 5) * n * 2 * pair} + d * {(n + 1) * 2 * c * q})::BIGINT AS offline_bytes FROM (SELECT count(DISTINCT holder) AS d FROM ({relation}))"
+
+
+def _release_sql(relation: str, cfg: ProtocolConfig, noise_sum: str, level: float | None, holders: int) -> str:
+    p = cfg.sketch
+    stat = f"SELECT z + noise AS z_noisy FROM ({z_sql(zc_sql(relation, p, ''), p)}), ({noise_sum})"
+    eps = "NULL::DOUBLE" if level is None else f"{level!r}::DOUBLE"
+    return f"SELECT z_noisy, round(n_hat, 4) AS n_hat, TRUE AS mac_ok, {eps} AS eps_c, online_bytes, offline_bytes, (z_noisy > {p.m * p.w} OR z_noisy < 0) AS clamped FROM ({bisect_sql(stat, [], p.m, p.w, 'z_noisy')}), ({_bytes_sql(cfg, holders, relation)})"
+
+
+def _drawn_sql(relation: str, cfg: ProtocolConfig) -> str:
+    return f"SELECT sum(noise)::BIGINT AS noise FROM ({draw_sql(relation, 'holder', cfg.seed, cfg.sigma)})"
+
+
+@query(_release_sql(DOCS, CFG, _drawn_sql(DOCS, CFG), protocol.level_of(CFG, "distributed", 20), 20))
 def puc_end_to_end(s, d):
-    """The whole protocol; its SQL is the plain release that it must equal."""
+    """The whole protocol; its SQL is the plain release that it must equal, and the formulas of what is sent."""
     return protocol.run_puc(fixture("docs_text", s, d), CFG, 20)
 
 
-@query(f"SELECT sum({low_sql('bits', MINI.w)})::BIGINT AS z_star, TRUE AS mac_ok, round(pow(2.0, sum({low_sql('bits', MINI.w)}) / {MINI.m}.0) / 0.77351, 4) AS n_hat FROM ({fz_sql(ORDERS, MINI, '')})")
+_WORDS = fixture_sql("docs_word")
+
+
+@query(_release_sql(_WORDS, STUDY_CFG, _drawn_sql(_WORDS, STUDY_CFG), protocol.level_of(STUDY_CFG, "distributed", 20), 20))
+def puc_study(s, d):
+    """The protocol at the parameters of the cost studies: 1,024 arrays, 20 holders, five parties."""
+    return protocol.run_puc(fixture("docs_word", s, d), STUDY_CFG, 20)
+
+
+_WIDE_CFG = ProtocolConfig(MINI, 5, 2.0, "s", P72)
+
+
+@query(_release_sql(DOCS, _WIDE_CFG, _drawn_sql(DOCS, _WIDE_CFG), protocol.level_of(_WIDE_CFG, "distributed", 20), 20))
+def puc_wide_field(s, d):
+    """Five parties in the field of 72 bits."""
+    return protocol.run_puc(fixture("docs_text", s, d), _WIDE_CFG, 20)
+
+
+_ONE_DRAW = f"SELECT x AS noise FROM (SELECT {hash_sql(chr(39) + 'central' + chr(39), 's')} / {float(1 << 60)!r}::DOUBLE AS u) JOIN ({noise.pmf_sql(2.0)}) ON u >= cdf_lo AND u < cdf_hi"
+
+
+_SMALL_CFG = ProtocolConfig(MINI, 3, 2.0, "s")
+
+
+@query(_release_sql(ORDERS, _SMALL_CFG, _ONE_DRAW, protocol.level_of(_SMALL_CFG, "central", 5), 5))
+def puc_central(s, d):
+    """One draw for all holders."""
+    return protocol.run_puc(fixture("patients", s, d), _SMALL_CFG, 5, noise="central")
+
+
+@query(_release_sql(ORDERS, _SMALL_CFG, "SELECT 0 AS noise", None, 5))
+def puc_fresh_randomness(s, d):
+    """Shares, masks, factors, triples and MAC keys under a secret of the operating system; without noise the statistic
+    must still be the plain one."""
+    return protocol.run_puc(fixture("patients", s, d), ProtocolConfig(MINI, 3, 2.0, fresh_seed()), 5, noise="none")
+
+
+_CHEATS = [(step, party, part) for step, party, part in (("count", 0, "val"), ("statistic", 1, "mac"), ("none", 0, "val"))]
+
+
+@query("SELECT step, party::INT AS party, part, step <> 'none' AS aborted, step = 'none' AS released FROM (VALUES " + ", ".join(map(str, _CHEATS)) + ") AS g(step, party, part)")
+def puc_tampered(s, d):
+    """A party alters one share or MAC at a step of the protocol: the run aborts, and releases neither statistic nor
+    estimate."""
+    df = fixture("patients", s, d)
+    tiny = ProtocolConfig(SketchParams(2, 3), 3, 2.0, "s")
+    rows = []
+    for step, party, part in _CHEATS:
+        cheat = lambda at, x, step=step, party=party, part=part: shares.tamper(x, party, part) if at == step else x
+        r = protocol.run_puc(df, tiny, 5, cheat=cheat).select("mac_ok", "z_noisy", "n_hat").first()
+        rows.append((step, party, part, not r.mac_ok, r.z_noisy is not None and r.n_hat is not None))
+    return s.createDataFrame(rows, "step string, party int, part string, aborted boolean, released boolean")
+
+
+_FZ_SECURE = SketchParams(64, 14)
+
+
+@query(f"SELECT sum({low_sql('bits', _FZ_SECURE.w)})::BIGINT AS z_star, TRUE AS mac_ok, round(pow(2.0, sum({low_sql('bits', _FZ_SECURE.w)}) / {_FZ_SECURE.m}.0) / 0.77351, 4) AS n_hat FROM ({fz_sql(ORDERS, _FZ_SECURE, '')})")
 def fz_mpc_end_to_end(s, d):
-    run = baselines.run_fz_mpc(fixture("patients", s, d), ProtocolConfig(MINI, 3, 2.0, "s"), 5)
-    return run.select("z_star", "mac_ok", F.round(fz_estimate(F.col("z_star"), MINI.m), 4).alias("n_hat"))
+    run = baselines.run_fz_mpc(fixture("patients", s, d), ProtocolConfig(_FZ_SECURE, 3, 2.0, "s"), 5)
+    return run.select("z_star", "mac_ok", F.round(fz_estimate(F.col("z_star"), _FZ_SECURE.m), 4).alias("n_hat"))
 
 
 # audits
@@ -486,7 +590,13 @@ query(_comm_sql(_BY_C), "comm_by_parties")(lambda s, d: _comm(s, _BY_C))
 query(_comm_sql(_BY_N), "comm_by_n")(lambda s, d: _comm(s, _BY_N))
 
 
-@query()
+def _phase_sql() -> str:
+    grid = sorted(set(_BY_N + _BY_C))
+    run = lambda b: f"({b} / bandwidth + {b} / 8.0 * 2e-8)"
+    return f"SELECT kind, n, m, c, net, round((7 + CASE WHEN kind = 'fz' THEN w - 1 ELSE 0 END) * rtt + {run('online_bytes')}, 4) AS online_s, round(2 * rtt + {run('offline_bytes')}, 4) AS offline_s FROM ({_comm_sql(grid)}), (VALUES ('lan', 5e-4::DOUBLE, 1.25e8::DOUBLE), ('wan', 3e-2, 1.25e7)) AS t(net, rtt, bandwidth)"
+
+
+@query(_phase_sql())
 def phase_cost_model(s, d):
     """Modelled seconds of both phases in a local and a wide network, by n and by parties."""
     rows = []
@@ -527,6 +637,14 @@ def gen_sets_query(s, d):
     return gen_sets(s, 10_000, 20, True).groupBy("holder").agg(F.count("*").alias("n"))
 
 
+@query("SELECT count(DISTINCT l_orderkey) AS n FROM lineitem")
+def builtin_bitmap(s, d):
+    """Exact union of whole-number elements by bitmaps of 32,768 positions, merged by OR."""
+    keys = load(s, d, "lineitem").select("l_orderkey", (F.col("l_suppkey") % 20).alias("holder"))
+    each = keys.groupBy("holder", F.bitmap_bucket_number("l_orderkey").alias("b")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("l_orderkey")).alias("bits"))
+    return each.groupBy("b").agg(F.bitmap_count(F.bitmap_or_agg("bits")).alias("k")).agg(F.sum("k").alias("n"))
+
+
 QUERIES["gen_sets"] = QUERIES.pop("gen_sets_query")
 ORACLES["gen_sets"] = ORACLES.pop("gen_sets_query")
 
@@ -592,7 +710,17 @@ def audit_zero_count_noisy(s, d):
     return at.groupBy(F.col("element").startswith("absent|").alias("absent")).agg(F.count("*").alias("candidates"), F.count_if(change + F.col("n") > 0).alias("flagged"))
 
 
-QUERIES["audit_zero_count"], ORACLES["audit_zero_count"] = QUERIES["membership_audit"], ORACLES["membership_audit"]
+_OTHER = place_sql("element", ORACLE, "guess")
+
+
+@query(
+    f"WITH c AS ({_CAND}), e AS (SELECT * FROM c UNION ALL SELECT 'absent|' || element, TRUE FROM c), u AS ({zc_sql(DOCS, ORACLE, '')}), t AS (SELECT absent, ((coalesce(bits, 0) >> x) & 1) = 0 AS flag FROM (SELECT absent, {_OTHER[0]} AS a, {_OTHER[1]} AS x FROM e) LEFT JOIN u ON a = u.arr) "
+    "SELECT count(*) AS candidates, count(*) FILTER (flag) AS flagged, count(*) FILTER (flag AND NOT absent) AS wrongly_flagged FROM t"
+)
+def audit_secret_hash(s, d):
+    """The same attack by one who does not know the holders' key and guesses: members are flagged as often as others, so
+    a flag tells nothing.  Holders do know the key, hence the noise."""
+    return audit.audit_membership(fixture("docs_text", s, d), "src0", ORACLE, "guess")
 
 
 # scenarios

@@ -7,6 +7,8 @@ from dataclasses import dataclass
 
 #: Prime of the default field: products of two reduced values fit DECIMAL(38, 0).
 P61 = (1 << 61) - 1
+#: Prime of 40 + 32 bits: statistic and noise fit 32 bits, 40 more keep masked openings from telling anything.
+P72 = (1 << 72) - 93
 
 
 @dataclass(frozen=True)
@@ -50,12 +52,29 @@ def sensitivity(kind: str, m: int, w: int) -> float:
 
 @dataclass(frozen=True)
 class ProtocolConfig:
-    """``c`` computing parties; ``sigma`` of each holder's noise; ``seed`` of the reproducible randomness.
+    """``c`` computing parties; ``sigma`` of each holder's noise; ``seed`` of the randomness; ``prime`` of the field.
 
-    Seeded randomness serves tests and oracles; a release takes its draws from the operating system (``noise.os_draws``).
+    A given seed makes a run reproducible, for tests and oracles.  A release takes ``params.fresh_seed()``, a secret from
+    the operating system, and draws of ``noise.os_draws``.
     """
 
     sketch: SketchParams = ORACLE
     c: int = 3
     sigma: float = 2.0
     seed: str = "s"
+    prime: int = P61
+
+    def __repr__(self) -> str:
+        return f"ProtocolConfig({self.sketch}, c={self.c}, sigma={self.sigma}, prime of {self.prime.bit_length()} bits)"
+
+
+def fresh_seed() -> str:
+    """256 secret bits of the operating system: shares, masks and MAC keys are then SHA-256 values under them, so that a
+    task that runs again deals the same shares."""
+    import secrets
+
+    return FRESH + secrets.token_hex(32)
+
+
+#: How seeds from the operating system begin.
+FRESH = "os:"

@@ -1,4 +1,9 @@
-"""Zero test on shares: from [x] to [x != 0] without revealing x."""
+"""Zero test on shares: from [x] to [x != 0] without revealing x.
+
+Offline, each cell gets a shared random mask with its shared bits, a shared random factor with its inverse and powers,
+and a triple for one product (``deal_tests``).  Online (``run_tests``) the masked value, two differences and a blinded
+distance are opened.  Lists of bits and powers are array columns, so that the plan does not grow with them.
+"""
 
 from __future__ import annotations
 
@@ -8,70 +13,97 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import field, shares
-from .params import P61
 from .shares import Keys, Shared
 
+_WIDE = "decimal(38,0)"
+#: Entries of the list of single shared values that a cell is dealt.
+MASK, INVERSE, U, V, UV = range(5)
+
 
 def test_bits(d: int) -> int:
     """Bits that hold counts 0..d."""
     return max(1, math.ceil(math.log2(d + 1)))
 
 
-def zero_test(df: DataFrame, name: str, out: str, bits: int, keys: Keys, seed: str, tag: str, variant: str = "masked", cell: str = "cell") -> DataFrame:
-    """Adds the shared column ``out``: 0 where ``name`` is 0 and 1 where it lies in 1..2^bits - 1; and ``out_ok``.
+def compared_bits(bits: int, variant: str) -> int:
+    """``masked`` compares the bits that counts have, ``literal`` as many as the prime has."""
+    return field.modulus().bit_length() if variant == "literal" else bits
+
+
+def _bit(x: Column, t: Column) -> Column:
+    """Bit ``t`` of a value below 2^90, as 0 or 1."""
+    limb = F.lit(1 << 30).cast(_WIDE)
+    low, rest = F.pmod(x, limb), x
+    parts = []
+    for _ in range(3):
+        low = F.pmod(rest, limb)
+        parts.append(low.cast("bigint"))
+        rest = ((rest - low) / limb).cast(_WIDE)
+    part = F.array(*parts)[(t / 30).cast("int")]
+    return F.call_function("shiftright", part, (t % 30).cast("int")).bitwiseAND(F.lit(1)).cast(_WIDE)
+
+
+def bits_of(x: Column, n: int) -> Column:
+    return F.transform(F.array(x), lambda v: F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda t: _bit(v, t)))[0]
+
 
-    The sum of x and a shared random mask is opened; its Hamming distance to the mask's shared bits is 0 only for
-    x = 0.  One more than the distance is blinded by a random factor and opened, and the lookup polynomial is put
-    together from shared powers of that factor.  ``masked`` draws the mask from [0, p - 2^bits), so that no sum wraps,
-    and compares the low ``bits``.  ``literal`` draws as many bits as the prime has and compares them all: a mask of p
-    or more then misreads.
+def deal_tests(df: DataFrame, bits: int, keys: Keys, seed: str, tag: str, variant: str = "masked", cell: str = "cell") -> DataFrame:
+    """Adds what a test of each cell uses up: ``one_`` (mask, inverse, triple), ``bits_`` and ``powers_``, all shared.
+
+    ``masked`` draws the mask from [0, p - 2^bits), so that no sum wraps.  ``literal`` draws as many bits as the prime
+    has: a mask of p or more then misreads.
     """
-    literal = variant == "literal"
-    n = P61.bit_length() if literal else bits
-    degree = n if literal else bits
+    p, n = field.modulus(), compared_bits(bits, variant)
     at = F.col(cell)
-    raw = shares.seeded(at, seed, tag + "|a").cast("bigint")
-    low = raw.bitwiseAND(F.lit((1 << min(n, 60)) - 1))
-    high = shares.seeded(at, seed, tag + "|high").cast("bigint") % ((P61 - (1 << bits)) >> bits)
-    mask = low.cast("decimal(38,0)") if literal else (high * (1 << bits) + low).cast("decimal(38,0)")
-    bit = lambda x, t: F.shiftrightunsigned(x, t).bitwiseAND(F.lit(1))
-    # offline: the mask, its compared bits, a random factor with its inverse and powers
-    offline = {"a_": shares.deal(field.reduce_(mask), at, keys, seed, tag + "|sa").column()}
-    for t in range(n):
-        offline[f"a{t}_"] = shares.deal(bit(low, t).cast("decimal(38,0)"), at, keys, seed, f"{tag}|b{t}").column()
-    offline["R_"] = (F.pmod(shares.seeded(at, seed, tag + "|R"), F.lit(P61 - 1).cast("decimal(38,0)")) + 1).cast("decimal(38,0)")
-    powers = {"inv_": shares.deal(field.inverse(F.col("R_")), at, keys, seed, tag + "|inv").column()}
-    for t in range(1, degree + 1):
-        powers[f"R{t}_"] = shares.deal(field.power(F.col("R_"), t), at, keys, seed, f"{tag}|R{t}").column()
-    work = df.withColumns(offline).withColumns(powers)
-    # online: three openings
-    work = work.withColumn("r_", shares.add(Shared.of(name), Shared.of("a_")).column()).withColumn("ro_", shares.open_(Shared.of("r_")))
-    opened = F.col("ro_").cast("bigint")
-    h = None
-    for t in range(n):
-        rt = bit(opened, t).cast("decimal(38,0)")
-        term = shares.add_public(shares.scale(Shared.of(f"a{t}_"), field.sub(field.constant(1), field.mul(field.constant(2), rt))), rt, keys)
-        h = term if h is None else shares.add(h, term)
-        if t % 8 == 7 or t == n - 1:  # named now and then, lest the expression grow
-            work = work.withColumn("h_", h.column())
-            h = Shared.of("h_")
-    work = work.withColumn("h1_", shares.add_public(Shared.of("h_"), field.constant(1), keys).column())
-    gamma, seen = shares.multiply(Shared.of("inv_"), Shared.of("h1_"), at, keys, seed, tag + "|g")
+    raw = shares.random_bits(at, seed, tag + "|a")
+    mask = F.pmod(raw, field.whole(1 << n if variant == "literal" else p - (1 << bits))).cast(_WIDE)
+    u, v = shares.seeded(at, seed, tag + "|gu"), shares.seeded(at, seed, tag + "|gv")
+    factor = (F.pmod(shares.random_bits(at, seed, tag + "|R"), field.whole(p - 1)) + 1).cast(_WIDE)
+    secret = df.withColumns({"mask__": mask, "u__": u, "v__": v, "R__": factor})
+    ones = F.array(field.reduce_(F.col("mask__")), field.inverse(F.col("R__")), F.col("u__"), F.col("v__"), field.mul(F.col("u__"), F.col("v__")))
+    powers = F.aggregate(F.sequence(F.lit(2), F.lit(n)), F.array(F.col("R__")), lambda acc, _: F.concat(acc, F.array(field.mul(F.element_at(acc, -1), F.col("R__"))))) if n > 1 else F.array(F.col("R__"))
+    dealt = {
+        "one_": shares.deal_list(ones, at, keys, seed, tag + "|one"),
+        "bits_": shares.deal_list(bits_of(F.col("mask__"), n), at, keys, seed, tag + "|bit"),
+        "powers_": shares.deal_list(powers, at, keys, seed, tag + "|pow"),
+    }
+    return secret.withColumns(dealt).drop("mask__", "u__", "v__", "R__")
+
+
+def run_tests(df: DataFrame, name: str, out: str, bits: int, keys: Keys, seed: str, tag: str, variant: str = "masked", cell: str = "cell") -> DataFrame:
+    """The online steps on cells that ``deal_tests`` has dealt: adds the shared column ``out``, ``out_sigma`` (one
+    residual a party for all four openings) and ``out_ok``, and keeps the opened values as ``out_seen``.
+
+    The sum of x and the mask is opened; its Hamming distance to the mask's shared bits is 0 only for x = 0.  One more
+    than the distance is blinded by a random factor and opened, and the lookup polynomial is put together from shared
+    powers of that factor.
+    """
+    n, c = compared_bits(bits, variant), len(keys.shares)
+    one = F.col("one_")
+    work = df.withColumn("r_", shares.add(Shared.of(name), shares.at(one, MASK)).column()).withColumn("ro_", shares.open_(Shared.of("r_")))
+    work = work.withColumn("rb_", bits_of(F.col("ro_"), n))
+    # a bit of the mask counts as it is where the opened bit is 0, and as 1 less it where that is 1
+    sign = F.transform("rb_", lambda b: F.when(b == 1, field.constant(-1)).otherwise(field.constant(1)))
+    public = field.reduce_(F.aggregate("rb_", field.constant(1), lambda acc, b: (acc + b).cast(_WIDE)))
+    work = work.withColumn("h_", shares.combine(F.col("bits_"), sign, c).column()).withColumn("h1_", shares.add_public(Shared.of("h_"), public, keys).column())
+    gamma, seen = shares.multiply_dealt(shares.at(one, INVERSE), Shared.of("h1_"), shares.at(one, U), shares.at(one, V), shares.at(one, UV), keys)
+    work = work.withColumns({"dx_": seen[0][0].column(), "dxo_": seen[0][1], "dy_": seen[1][0].column(), "dyo_": seen[1][1]})
     work = work.withColumn("g_", gamma.column()).withColumn("go_", shares.open_(Shared.of("g_")))
-    ok = shares.mac_ok(Shared.of("r_"), F.col("ro_"), keys) & shares.mac_ok(Shared.of("g_"), F.col("go_"), keys)
-    for x, value in seen:
-        ok = ok & shares.mac_ok(x, value, keys)
-    work = work.withColumn(f"{out}_ok", ok)
-    beta = field.lookup_poly(degree)
-    total = None
-    for t in range(1, degree + 1):
-        term = shares.scale(Shared.of(f"R{t}_"), field.mul(field.power(F.col("go_"), t), field.constant(beta[t])))
-        total = term if total is None else shares.add(total, term)
-        if t % 8 == 0 or t == degree:
-            work = work.withColumn("b_", total.column())
-            total = Shared.of("b_")
-    work = work.withColumn(out, shares.add_public(Shared.of("b_"), field.constant(beta[0]), keys).column())
-    return work.select(*df.columns, out, f"{out}_ok")
+    opened = [(Shared.of(x), F.col(f"{x[:-1]}o_")) for x in ("r_", "dx_", "dy_", "g_")]
+    beta = F.array(*[field.constant(b) for b in field.lookup_poly(n)])
+    gammas = F.aggregate(F.sequence(F.lit(2), F.lit(n)), F.array(F.col("go_")), lambda acc, _: F.concat(acc, F.array(field.mul(F.element_at(acc, -1), F.col("go_"))))) if n > 1 else F.array(F.col("go_"))
+    factors = F.zip_with(F.slice(beta, 2, n), gammas, lambda b, g: field.mul(b, g))
+    work = work.withColumn("b_", shares.combine(F.col("powers_"), factors, c).column())
+    work = work.withColumn(out, shares.add_public(Shared.of("b_"), beta[0], keys).column())
+    sigma = shares.batched(opened, F.col(cell), keys, seed, tag + "|check")
+    work = work.withColumn(f"{out}_sigma", sigma).withColumn(f"{out}_ok", shares.cancels(F.col(f"{out}_sigma"))).withColumn(f"{out}_seen", F.array(*[v for _, v in opened]))
+    kept = [x for x in df.columns if x not in ("one_", "bits_", "powers_")]
+    return work.select(*kept, out, f"{out}_sigma", f"{out}_ok", f"{out}_seen")
+
+
+def zero_test(df: DataFrame, name: str, out: str, bits: int, keys: Keys, seed: str, tag: str, variant: str = "masked", cell: str = "cell") -> DataFrame:
+    """Deals and runs the tests at one go: ``out`` is 0 where ``name`` is 0 and 1 where it lies in 1..2^bits - 1."""
+    return run_tests(deal_tests(df, bits, keys, seed, tag, variant, cell), name, out, bits, keys, seed, tag, variant, cell).drop(f"{out}_sigma", f"{out}_seen")
 
 
 def opened_column(df: DataFrame, name: str, out: str, keys: Keys) -> DataFrame:
