@@ -32,6 +32,27 @@ def zc_estimate(z: Column, m: int, w: int, form: str = "exp", iters: int = 60) -
     return F.when(share >= 1, F.lit(0.0)).otherwise(found)
 
 
+def zc_estimate_by_row(z: Column, m: Column, w: Column, iters: int = 60) -> Column:
+    """:func:`zc_estimate` with sizes that are columns: one expression serves rows of all sizes."""
+    md, wd = m.cast("double"), w.cast("double")
+    rates = F.transform(F.sequence(F.lit(0), w - 1), lambda x: -F.pow(F.lit(2.0), -F.least(x + 1, w - 1)) / md)
+    share = z / (md * wd)
+
+    def half(s: Column, _: Column) -> Column:
+        mid = (s["lo"] + s["hi"]) / 2
+        f = F.aggregate(s["q"], F.lit(0.0), lambda acc, q: acc + F.exp(mid * q)) / wd
+        return F.struct(F.when(f > share, mid).otherwise(s["lo"]).alias("lo"), F.when(f > share, s["hi"]).otherwise(mid).alias("hi"), s["q"].alias("q"))
+
+    start = F.struct(F.lit(0.0).alias("lo"), (md * F.pow(F.lit(2.0), wd)).alias("hi"), rates.alias("q"))
+    found = F.aggregate(F.sequence(F.lit(1), F.lit(iters)), start, half, lambda s: (s["lo"] + s["hi"]) / 2)
+    return F.when(share >= 1, F.lit(0.0)).otherwise(found)
+
+
+def alpha_by_row(m: Column) -> Column:
+    """Bias constant of the harmonic estimator for large m, in closed form."""
+    return F.lit(0.7213) / (F.lit(1.0) + F.lit(1.079) / m)
+
+
 def is_clamped(z: Column, m: int, w: int) -> Column:
     return (z > m * w) | (z < 0)
 

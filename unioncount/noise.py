@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 import math
+import random
 import secrets
+from collections.abc import Callable
 from fractions import Fraction
 
 import pandas as pd
@@ -47,37 +49,53 @@ def gaussian(text: Column, seed: str, sigma: float) -> Column:
     return F.sqrt(F.lit(-2.0) * F.log(u[0])) * F.cos(F.lit(2 * math.pi) * u[1]) * F.lit(sigma)
 
 
-def _bernoulli_exp(gamma: Fraction) -> bool:
+def _bernoulli_exp(gamma: Fraction, below: Callable[[int], int]) -> bool:
     """True with probability exp(-gamma), 0 <= gamma, by comparisons of exact fractions."""
     while gamma > 1:
-        if not _bernoulli_exp(Fraction(1)):
+        if not _bernoulli_exp(Fraction(1), below):
             return False
         gamma -= 1
     k = 1
-    while secrets.randbelow(gamma.denominator * k) < gamma.numerator:
+    while below(gamma.denominator * k) < gamma.numerator:
         k += 1
     return k % 2 == 1
 
 
-def exact_draw(sigma: float) -> int:
-    """Discrete Gaussian from the operating system's randomness: rejection from a discrete Laplace, no floating point."""
+def exact_draw(sigma: float, below: Callable[[int], int] = secrets.randbelow) -> int:
+    """Discrete Gaussian by rejection from a discrete Laplace, no floating point; ``below(n)`` gives uniform whole
+    numbers, from the operating system unless told otherwise."""
     s2 = Fraction(sigma).limit_denominator(10**6) ** 2
     t = math.floor(sigma) + 1
     while True:
-        u = secrets.randbelow(t)
-        if not _bernoulli_exp(Fraction(u, t)):
+        u = below(t)
+        if not _bernoulli_exp(Fraction(u, t), below):
             continue
         v = 0
-        while _bernoulli_exp(Fraction(1)):
+        while _bernoulli_exp(Fraction(1), below):
             v += 1
         x = u + t * v
-        negative = secrets.randbelow(2) == 1
+        negative = below(2) == 1
         if negative and x == 0:
             continue
-        if _bernoulli_exp((abs(x) - s2 / t) ** 2 / (2 * s2)):
+        if _bernoulli_exp((abs(x) - s2 / t) ** 2 / (2 * s2), below):
             return -x if negative else x
 
 
+def exact_sums(text: Column, sigma: Column, draws: Column) -> Column:
+    """Sum of ``draws`` discrete Gaussians of deviation ``sigma``, from a generator seeded by ``text``: the noise of a run
+    of a study, drawn holder by holder."""
+
+    @F.pandas_udf("double")
+    def total(texts: pd.Series, sigmas: pd.Series, counts: pd.Series) -> pd.Series:
+        out = []
+        for t, s, k in zip(texts, sigmas, counts, strict=True):
+            below = random.Random(t).randrange
+            out.append(float(sum(exact_draw(s, below) for _ in range(k))))
+        return pd.Series(out, dtype="float64")
+
+    return total(text, sigma, draws)
+
+
 def os_draws(holders: DataFrame, sigma: float) -> DataFrame:
     """Draws for a release.  Write the result before use: a task that runs again would draw anew."""
 

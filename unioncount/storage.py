@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -32,8 +33,20 @@ def written(df: DataFrame, tag: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+_ONCE: dict[tuple, DataFrame] = {}
+
+
+def written_once(spark: SparkSession, key: tuple, make: Callable[[], DataFrame], tag: str) -> DataFrame:
+    """What ``make`` gives, written the first time that this session asks for ``key``."""
+    key = (spark.sparkContext.applicationId, *key)
+    if key not in _ONCE:
+        _ONCE[key] = written(make(), tag)
+    return _ONCE[key]
+
+
 def clear_written(spark: SparkSession) -> None:
     """Delete what this process has written, once no DataFrame that reads it is needed any more."""
+    _ONCE.clear()
     while _WRITTEN:
         path = spark._jvm.org.apache.hadoop.fs.Path(_WRITTEN.pop())
         path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
