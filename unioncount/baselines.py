@@ -58,6 +58,12 @@ def run_fz_mpc(df: DataFrame, cfg: ProtocolConfig, holders: int, cheat=None) ->
         return total.select(F.when(ok, F.col("o").cast("bigint")).alias("z_star"), ok.alias("mac_ok"))
 
 
+def local_and_union(df: DataFrame) -> DataFrame:
+    """``n_sum, n``: local distinct counts added up, and the union, from one pass over the distinct pairs."""
+    each = df.select("holder", "element").distinct().groupBy("element").agg(F.count("*").alias("k"))
+    return each.agg(F.coalesce(F.sum("k"), F.lit(0)).alias("n_sum"), F.count("*").alias("n"))
+
+
 def bins_estimate(df: DataFrame, bins: int, coins: int, key: str = "k", seed: str = "s") -> DataFrame:
     """``occupied, noise, n_hat``: occupied hash bins plus fair coins, inverted for collisions.
 
@@ -75,8 +81,10 @@ def coins_for(eps: float, delta: float) -> int:
     return math.ceil(64 * math.log(2 / delta) / eps**2)
 
 
-def sortcmp_exact(df: DataFrame, ranges: int = 64) -> DataFrame:
-    """``n``: sort by hash and count the places where the neighbour differs, range by range; equal elements share one."""
+def sortcmp_exact(df: DataFrame, ranges: int | None = None, rows: int = 250_000) -> DataFrame:
+    """``n``: sort by hash and count the places where the neighbour differs, range by range; equal elements share one.
+    A range has about ``rows`` rows, so their number grows with the input."""
+    ranges = ranges or max(64, -(-df.count() // rows))
     h = hash60(F.col("element"), "k")
     placed = df.select("element", h.alias("h")).select("element", "h", (F.col("h") / float(1 << 60) * ranges).cast("int").alias("part"))
     before = F.lag("element").over(Window.partitionBy("part").orderBy("h", "element"))
@@ -89,6 +97,34 @@ def sortcmp_comparators(n: int) -> int:
     return (1 << k) // 2 * k * (k + 1) // 2 + (1 << k) - 1
 
 
+def sortcmp_network(df: DataFrame) -> DataFrame:
+    """``n, comparators``: a bitonic network over the hashes of all rows, and a test of each neighbour, as a fold over its
+    stages whose access pattern depends on the number of rows alone.  What parties would compare in secret is compared
+    here in the clear; each comparator is counted.  For some thousands of rows: the list lies in one row.
+    """
+    spark = df.sparkSession
+    hashes = df.select(hash60(F.col("element"), "k").alias("h")).agg(F.collect_list("h").alias("h"))
+    n = df.count()
+    k = max(1, math.ceil(math.log2(max(2, n))))
+    size = 1 << k
+    stages = spark.createDataFrame([([(1 << a, 1 << b) for a in range(1, k + 1) for b in range(a - 1, -1, -1)],)], "stages array<struct<span:int,gap:int>>")
+    most = F.lit((1 << 62) - 1)
+    rows = hashes.crossJoin(F.broadcast(stages)).withColumn("h", F.concat("h", F.array_repeat(most, F.lit(size) - F.size("h"))))
+
+    def stage(acc: Column, s: Column) -> Column:
+        def one(x: Column, i: Column) -> Column:
+            other = i.bitwiseXOR(s["gap"])
+            y = F.element_at(acc["h"], other + 1)
+            return F.when((i < other) == (i.bitwiseAND(s["span"]) == 0), F.least(x, y)).otherwise(F.greatest(x, y))
+
+        return F.struct(F.transform(acc["h"], one).alias("h"), (acc["used"] + size // 2).alias("used"))
+
+    done = rows.select(F.aggregate("stages", F.struct(F.col("h").alias("h"), F.lit(0).cast("bigint").alias("used")), stage).alias("r"))
+    differs = F.zip_with(F.slice("r.h", 1, size - 1), F.slice("r.h", 2, size - 1), lambda a, b: F.when((a != b) & (b < most), 1).otherwise(0))
+    first = F.when(F.element_at("r.h", 1) < most, 1).otherwise(0)
+    return done.select((first + F.aggregate(differs, F.lit(0), lambda a, b: a + b)).cast("bigint").alias("n"), (F.col("r.used") + size - 1).cast("bigint").alias("comparators"))
+
+
 def builtin_estimates(df: DataFrame, rsd: float = 0.02) -> DataFrame:
     """Spark's own estimators on the same elements."""
     return df.agg(F.approx_count_distinct("element", rsd).alias("approx"), F.hll_sketch_estimate(F.hll_sketch_agg("element")).alias("hll"), F.theta_sketch_estimate(F.theta_sketch_agg("element")).alias("theta"), F.count_distinct("element").alias("n_true"))

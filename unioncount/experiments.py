@@ -278,18 +278,20 @@ def union_by_holders(s, d):
 
 @query()
 def acc_vs_bins(s, d):
-    """Zero-count protocol against noisy bins at n of 20,000 to 50,000: both are run on the sets."""
-    bins, parts = 1 << 17, []
+    """Zero-count protocol against noisy bins at n of 20,000 to 50,000: both are run on the sets, with as many bins as the
+    protocol has cells, and coins of each of five parties, any one of which may be the only honest one."""
+    parts = []
     keys = s.range(RUNS).select(F.col("id").cast("int").alias("run"))
 
     @F.pandas_udf("bigint")
     def heads(texts: pd.Series, coins: pd.Series) -> pd.Series:
         return pd.Series([random.Random(t).binomialvariate(int(k), 0.5) for t, k in zip(texts, coins)], dtype="int64")
 
-    levels = s.createDataFrame([(e, baselines.coins_for(e, STUDY_DELTA)) for e in (0.1, 0.3)], "eps double, coins bigint")
+    levels = s.createDataFrame([(e, 5 * baselines.coins_for(e, STUDY_DELTA)) for e in (0.1, 0.3)], "eps double, coins bigint")
     for n in (20_000, 30_000, 40_000, 50_000):
         mine = noisy(states_of(s, n, ms=(STUDY_M,)), "distributed", [(e, STUDY_M, 20) for e in (0.1, 0.3)]).where("kind = 'zc'")
         parts.append(mine.select("run", "kind", "n", "eps", "n_hat"))
+        bins = STUDY_M * choose_width("zc", n, STUDY_M)
         placed = generated(s, n).crossJoin(F.broadcast(keys)).select("run", F.pmod(F.xxhash64(F.lit("bins"), "run", "element"), F.lit(bins)).alias("b"))
         occupied = placed.distinct().groupBy("run").agg(F.count("*").alias("occupied")).crossJoin(F.broadcast(levels))
         seen = occupied.withColumn("heads", heads(F.concat_ws("|", F.lit(str(n)), "eps", "run"), "coins"))

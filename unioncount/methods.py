@@ -190,8 +190,7 @@ def exact_union(s, d):
 def sum_local(s, d):
     rows = []
     for x in _ALL:
-        df = fixture(x, s, d)
-        rows.append(baselines.sum_local(df).crossJoin(baselines.exact_union(df)).select(F.lit(x).alias("relation"), "n_sum", F.round(F.col("n_sum") / F.col("n"), 4).alias("overlap_ratio")))
+        rows.append(baselines.local_and_union(fixture(x, s, d)).select(F.lit(x).alias("relation"), "n_sum", F.round(F.col("n_sum") / F.col("n"), 4).alias("overlap_ratio")))
     return reduce(DataFrame.union, rows)
 
 
@@ -619,6 +618,12 @@ def sortcmp_cost(s, d):
     return s.createDataFrame([(n, baselines.sortcmp_comparators(n)) for n in (100, 1000, 10**5, 10**6, 10**9)], "n bigint, comparators bigint")
 
 
+@query("SELECT count(DISTINCT user_id) AS n, (pow(2, k) / 2 * k * (k + 1) / 2 + pow(2, k) - 1)::BIGINT AS comparators FROM (SELECT user_id FROM events WHERE event_type = 'purchase'), (SELECT ceil(log2(count(*))) AS k FROM events WHERE event_type = 'purchase') GROUP BY k")
+def sortcmp_network(s, d):
+    """The oblivious network executed over one kind of event."""
+    return baselines.sortcmp_network(fixture("reach", s, d).where("holder = 'purchase'"))
+
+
 @query(
     f"SELECT occupied, noise, round(-65536.0 * ln(1 - greatest(0.0, least(65535.0, occupied + noise - 1000)) / 65536.0), 4) AS n_hat FROM (SELECT count(DISTINCT {hash_sql('element', 'k')} % 65536) AS occupied FROM ({GOODS_SQL})), (SELECT count(*) FILTER ({hash_sql('i::VARCHAR', 's')} / {float(1 << 60)!r}::DOUBLE < 0.5) AS noise FROM (SELECT unnest(range(2000)) AS i))",
     "bins_estimate",

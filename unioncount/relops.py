@@ -2,18 +2,17 @@
 
 from __future__ import annotations
 
-import uuid
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from . import field, sketches
+from . import field, noise, sketches
 from .estimate import bisect_sql, zc_estimate
 from .methods import GOODS, ORACLES, QUERIES, query, z_sql, zc_sql
-from .params import ORACLE, P61
-from .sources import PackedSketchSource, fixture, fixture_sql, load
+from .params import ORACLE, P61, P72
+from .sources import PackedSketchSource, fixture, fixture_sql, load, write_packed
 from .storage import folder
 
 
@@ -71,23 +70,9 @@ def layout_by_holder(s, d):
 def scan_sketch_source(s, d):
     """Packed sketches exchanged as files, read by a data source of their own."""
     path = folder(s, "packed")
-    where = path.removeprefix("file:")
-    while where.startswith("//"):
-        where = where[1:]
-
-    def write(batches):
-        import os
-
-        os.makedirs(where, exist_ok=True)
-        for pdf in batches:
-            for holder, data in zip(pdf["holder"], pdf["packed"]):
-                tmp = os.path.join(where, f".{uuid.uuid4().hex}")
-                with open(tmp, "wb") as f:
-                    f.write(b"".join(data[i : i + 8][::-1] for i in range(0, len(data), 8)))
-                os.replace(tmp, os.path.join(where, f"{holder}.sketch"))
-            yield pd.DataFrame({"n": [len(pdf)]})
-
-    sketches.pack(sketches.zc_sketch(fixture("reach", s, d), ORACLE), ORACLE).mapInPandas(write, "n bigint").agg(F.sum("n")).collect()
+    where = path if "://" in path else "file://" + path.removeprefix("file:")
+    packed = sketches.pack(sketches.zc_sketch(fixture("reach", s, d), ORACLE), ORACLE)
+    packed.mapInPandas(lambda batches: write_packed(batches, where), "n bigint").agg(F.sum("n")).collect()
     s.dataSource.register(PackedSketchSource)
     return s.read.format("packed_sketch").option("path", where).load()
 
@@ -409,7 +394,7 @@ def fn_hash(s, d):
 
 @query(r"SELECT page_id, regexp_extract(url, '^(https?)://', 1) AS scheme, regexp_extract(url, '^https?://([^/:?#]+)', 1) AS host FROM pages")
 def fn_url(s, d):
-    return L(s, d, "pages").select("page_id", F.parse_url("url", lit("PROTOCOL")).alias("scheme"), F.parse_url("url", lit("HOST")).alias("host"))
+    return L(s, d, "pages").select("page_id", F.try_parse_url("url", lit("PROTOCOL")).alias("scheme"), F.try_parse_url("url", lit("HOST")).alias("host"))
 
 
 @query("SELECT o_orderkey, date_trunc('month', o_orderdate)::TIMESTAMP AS month, date_diff('day', DATE '1995-01-01', o_orderdate::DATE)::INT AS days, (o_orderdate::DATE + INTERVAL 1 MONTH)::DATE AS next, year(o_orderdate)::INT AS y, dayofweek(o_orderdate)::INT + 1 AS dow FROM orders".replace("dayofweek(o_orderdate)::INT + 1", "(dayofweek(o_orderdate) + 1)::INT"))
@@ -620,4 +605,53 @@ def udtf_grid(s, d):
     return Grid()
 
 
-QUERIES["udf_noise"] = QUERIES["noise_from_os"]
+_X, _Y = "(i * 48271 + 11)::HUGEINT * 68719476743", "(i * i + 40014)::HUGEINT * 33554467"
+
+
+@query(f"SELECT i::BIGINT AS id, (({_X}) * ({_Y}) % {P72})::VARCHAR AS product, TRUE AS same FROM (SELECT unnest(range(500)) AS i)")
+def udf_field72(s, d):
+    """Products in the field of 72 bits by an Arrow UDF on whole numbers, next to the limbs of DECIMAL columns."""
+
+    @F.pandas_udf("string")
+    def times(a: pd.Series, b: pd.Series) -> pd.Series:
+        return pd.Series([str(int(x) * int(y) % P72) for x, y in zip(a, b)])
+
+    i = c("id").cast("decimal(38,0)")
+    x, y = (i * 48271 + 11) * 68719476743, (i * i + 40014) * 33554467
+    rows = s.range(500).select("id", field.reduce_(x, P72).alias("x"), field.reduce_(y, P72).alias("y"))
+    done = rows.select("id", times(c("x").cast("string"), c("y").cast("string")).alias("product"), field.mul(c("x"), c("y"), P72).cast("string").alias("limbs"))
+    return done.select("id", "product", (c("product") == c("limbs")).alias("same"))
+
+
+@query("SELECT x::INT AS x, CASE WHEN x = 1 THEN '0' ELSE '1' END AS value FROM (SELECT unnest(range(1, 7)) AS x)")
+def udtf_lookup_poly(s, d):
+    """Coefficients of the lookup polynomial from a table function, put to use at 1..6."""
+    from .field import lookup_poly
+
+    @F.udtf(returnType="t int, beta string")
+    class Coefficients:
+        def eval(self, k: int):
+            for t, beta in enumerate(lookup_poly(k)):
+                yield t, str(beta)
+
+    points = s.range(1, 7).select(c("id").cast("int").alias("x"))
+    dec = lambda e: e.cast("decimal(38,0)")
+    term = field.mul(dec(c("beta")), dec(F.pow(c("x").cast("double"), c("t").cast("double")).cast("bigint")))
+    return Coefficients(lit(5)).crossJoin(points).groupBy("x").agg(field.reduce_(F.sum(term)).cast("string").alias("value"))
+
+
+@query(f"SELECT x, round(pmf, 10) AS pmf FROM ({noise.pmf_sql(3.0)})")
+def udtf_gaussian(s, d):
+    """The table of the discrete Gaussian from a table function."""
+
+    @F.udtf(returnType="x bigint, pmf double")
+    class Table:
+        def eval(self, sigma: float):
+            import math
+
+            k = math.ceil(12 * sigma)
+            weights = [math.exp(-(x * x) / (2 * sigma * sigma)) for x in range(-k, k + 1)]
+            for x, v in zip(range(-k, k + 1), weights):
+                yield x, round(v / sum(weights), 10)
+
+    return Table(lit(3.0))

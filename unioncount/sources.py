@@ -37,7 +37,7 @@ FIXTURES: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str]] = {
     "reach": (lambda s, d: elements(load(s, d, "events"), "event_type", "user_id"), "SELECT event_type AS holder, user_id::VARCHAR AS element FROM events"),
     "clients": (_events_hour, "SELECT hour(ts)::VARCHAR AS holder, user_id::VARCHAR AS element FROM events"),
     "hosts": (
-        lambda s, d: elements(load(s, d, "pages"), F.regexp_extract("url", r"^https?://[^/]+/([^/?#]*)", 1), F.parse_url("url", F.lit("HOST"))),
+        lambda s, d: elements(load(s, d, "pages"), F.regexp_extract("url", r"^https?://[^/]+/([^/?#]*)", 1), F.try_parse_url("url", F.lit("HOST"))),
         r"SELECT regexp_extract(url, '^https?://[^/]+/([^/?#]*)', 1) AS holder, regexp_extract(url, '^https?://([^/:?#]+)', 1) AS element FROM pages",
     ),
     "parts_by_nation": (
@@ -78,20 +78,44 @@ class PackedSketchSource(DataSource):
 
 
 class _PackedReader(DataSourceReader):
+    """Lists and reads through the file system that the path names, so that the folder may be a shared one."""
+
     def __init__(self, path: str) -> None:
         self.path = path
 
     def partitions(self):
-        import os
+        from pyarrow import fs
 
-        return [InputPartition(f) for f in sorted(os.listdir(self.path)) if f.endswith(".sketch")]
+        files, root = fs.FileSystem.from_uri(self.path)
+        found = files.get_file_info(fs.FileSelector(root))
+        return [InputPartition(f.base_name) for f in sorted(found, key=lambda f: f.base_name) if f.extension == "sketch"]
 
     def read(self, partition):
-        import os
         import struct
 
-        with open(os.path.join(self.path, partition.value), "rb") as f:
-            data = f.read()
+        from pyarrow import fs
+
+        files, root = fs.FileSystem.from_uri(self.path)
+        with files.open_input_stream(f"{root}/{partition.value}") as source:
+            data = source.read()
         for arr, (bits,) in enumerate(struct.iter_unpack("<q", data)):
             if bits:
                 yield partition.value[: -len(".sketch")], arr, bits
+
+
+def write_packed(batches, path: str):
+    """Writes packed sketches (``holder, packed``) as files under ``path``; a file appears when it is whole."""
+    import uuid
+
+    import pandas as pd
+    from pyarrow import fs
+
+    files, root = fs.FileSystem.from_uri(path)
+    files.create_dir(root, recursive=True)
+    for pdf in batches:
+        for holder, data in zip(pdf["holder"], pdf["packed"]):
+            part = f"{root}/.{uuid.uuid4().hex}"
+            with files.open_output_stream(part) as out:
+                out.write(b"".join(data[i : i + 8][::-1] for i in range(0, len(data), 8)))
+            files.move(part, f"{root}/{holder}.sketch")
+        yield pd.DataFrame({"n": [len(pdf)]})
