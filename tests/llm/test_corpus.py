@@ -230,6 +230,54 @@ def test_scores_equal_plain_sums(spark, docs):
         assert np.allclose(row, want, rtol=1e-5) and k == max(0, len(b) - 2)
 
 
+def fused_brute(rows: list, model, texts: list[str]) -> list[tuple]:
+    """Posterior of every row by plain sums over all the others."""
+    import pyarrow as pa
+
+    langs = [*model.languages, langid.UNKNOWN]
+    k = len(langs)
+    prior = np.log(np.array([(1 - langid.PRIOR_UNKNOWN) / (k - 1)] * (k - 1) + [langid.PRIOR_UNKNOWN]))
+    like, n = langid.score_texts(pa.array(texts), model)
+    like *= (langid.TEXT_EVIDENCE / (n + langid.TEXT_EVIDENCE))[:, None]
+    seen = np.array([bool((t or "").strip()) and m > 0 for t, m in zip(texts, n)])
+    like[~seen] = 0
+    soft = np.exp(like + prior - (like + prior).max(1, keepdims=True))
+    soft /= soft.sum(1, keepdims=True)
+    total = soft[seen].sum(0)
+    share = (total + 1) / (total.sum() + k)
+    out = []
+    for i, r in enumerate(rows):
+        def others(by):
+            at = [j for j, x in enumerate(rows) if seen[j] and r[by] is not None and x[by] == r[by] and j != i]
+            return soft[at].sum(0) if at else np.zeros(k)
+
+        domain, host = others("domain"), others("host")
+        p = (domain + langid.DOMAIN_PULL * share) / (domain.sum() + langid.DOMAIN_PULL)
+        p = (host + langid.HOST_PULL * p) / (host.sum() + langid.HOST_PULL)
+        logs = like[i] + np.log(p)
+        for by in ("declared", "suffix"):
+            logs = logs + np.log((others(by) + share) / (total + 1))
+        post = np.exp(logs - logs.max())
+        post /= post.sum()
+        best = int(post.argmax())
+        out.append((langs[best], post[best], not seen[i] or langs[best] == langid.UNKNOWN or post[best] < langid.MIN_POSTERIOR))
+    return out
+
+
+def test_fused_posterior_equals_plain_sums(spark, smoke_dir):
+    docs = table(spark, smoke_dir, "documents")
+    model = langid.fit_text_model(spark, docs, 30)
+    pages = langid.evidence_of_pages(table(spark, smoke_dir, "pages")).withColumn("doc_id", F.lit(None).cast("bigint"))
+    extra = spark.createDataFrame([(None, "https://a.b.fr/x", "<html lang='fr'></html>"), (900, None, "<p>la vie"), (901, "https://a.b.fr/x", None)], "page_id bigint, url string, html string")
+    more = langid.evidence_of_pages(extra).withColumn("doc_id", F.lit(None).cast("bigint"))
+    every = langid.evidence_of_documents(docs).withColumn("page_id", F.lit(None).cast("bigint")).unionByName(pages).unionByName(more)
+    every = written(every.withColumn("n", F.monotonically_increasing_id()), "evidence")
+    rows = every.withColumn("letters", langid.letters_of(F.col("text"))).orderBy("n").collect()
+    got = langid.classify(every, model).orderBy("n").collect()
+    for r, (language, posterior, rejected) in zip(got, fused_brute(rows, model, [r.letters for r in rows]), strict=True):
+        assert (r.language, r.rejected) == (language, rejected) and abs(r.posterior - posterior) < 1e-4
+
+
 def test_evidence_moves_short_texts(spark, small_dir, docs):
     model = langid.fit_text_model(spark, docs, 100)
     pages = [(i, f"https://a{i % 3}.host{'x' if i % 2 else 'y'}.{'fr' if i % 2 else 'de'}/p", f"<html lang='{'fr' if i % 2 else 'de'}'><body>{docs_text}</body></html>") for i, docs_text in enumerate(_some_texts(docs))]
@@ -281,6 +329,57 @@ def test_mix_meets_targets(spark, docs, leaf_rows):
     assert got.sort_values("doc_id")["copies"].tolist() == again.sort_values("doc_id")["copies"].tolist()
 
 
+def test_mix_equals_a_plain_tree(spark, docs):
+    """The same leaves, uniforms and levels, one row after the other in plain Python."""
+    seed, leaf_rows, fan_in = mixing.SEED, 60, 3
+    n = docs.count()
+    leaves = -(-n // leaf_rows)
+    levels = []
+    k = leaves
+    while k > 1:
+        k = -(-k // fan_in)
+        levels.append(k)
+    uniform = lambda *x: (F.xxhash64("doc_id", *[F.lit(v) for v in x]).bitwiseAND(F.lit((1 << 53) - 1))) / float(1 << 53)
+    cols = [F.pmod(F.xxhash64("doc_id", F.lit(seed + 1)), F.lit(leaves)).alias("leaf"), uniform(seed).alias("u0"), uniform(seed + 3).alias("last"), *[uniform(seed + 2, k).alias(f"u{i + 1}") for i, k in enumerate(levels)]]
+    rows = {r.doc_id: r for r in docs.select("doc_id", "source", *cols).collect()}
+    got = {r.doc_id: r for r in mixing.mix(docs, total=777, leaf_rows=leaf_rows, fan_in=fan_in).collect()}
+    p = {i: r.expected - np.floor(r.expected) for i, r in got.items()}
+    open_, leaf = set(rows), {i: r.leaf for i, r in rows.items()}
+    value = dict(p)
+    for level in range(len(levels) + 1):
+        if level:
+            leaf = {i: leaf[i] // fan_in for i in open_}
+        groups = defaultdict(list)
+        for i in open_:
+            groups[leaf[i], rows[i].source].append(i)
+        open_ = set()
+        for members in groups.values():
+            members.sort(key=lambda i: (rows[i][f"u{level}"], i))
+            carry = None
+            for i in members:
+                if value[i] <= mixing.EPS or value[i] >= 1 - mixing.EPS:
+                    value[i] = round(value[i])
+                elif carry is None:
+                    carry = i
+                else:
+                    a, b, u = value[carry], value[i], rows[i][f"u{level}"]
+                    if a + b < 1:
+                        first = u * (a + b) < a
+                        value[carry], value[i] = (a + b, 0.0) if first else (0.0, a + b)
+                        carry = carry if first else i
+                    else:
+                        first = u * (2 - a - b) < 1 - b
+                        value[carry], value[i] = (1.0, a + b - 1) if first else (a + b - 1, 1.0)
+                        carry = i if first else carry
+                    if value[carry] <= mixing.EPS or value[carry] >= 1 - mixing.EPS:
+                        value[carry], carry = round(value[carry]), None
+            if carry is not None:
+                open_.add(carry)
+    for i in open_:
+        value[i] = 1 if rows[i].last < value[i] else 0
+    assert {i: int(np.floor(r.expected)) + int(round(value[i])) for i, r in got.items()} == {i: r.copies for i, r in got.items()}
+
+
 def test_mix_awkward(spark, awkward):
     got = mixing.stage_mix(spark, awkward, "")
     assert got.columns == awkward.columns and got.where("doc_id is null").count() == 1
@@ -345,6 +444,23 @@ def test_knapsack_equals_enumeration():
         assert abs(sum(values[i] * k for i, k in chosen.items()) - best[17]) < 1e-9
 
 
+def test_the_program_places_nearly_all(spark):
+    docs = table(spark, "/root/testdata/sf0.1", "documents")
+    lengths = Counter()
+    for r in docs.select(packing.length_of(F.col("text")).alias("n")).collect():
+        lengths.update([packing.CAPACITY] * ((r.n - 1) // packing.CAPACITY) + [(r.n - 1) % packing.CAPACITY + 1])
+    report: dict = {}
+    plan, bound = packing.solve(dict(lengths), packing.CAPACITY, report=report)
+    assert sum(t for _, t in plan) <= 1.01 * bound + 1 and report["by_program"] > 0.5
+
+
+def test_lengths_may_be_tokens(docs, ranks):
+    counted = docs.join(token_counts.token_counts(docs, ranks), "doc_id")
+    got = packing.pack(counted, 512, rounds=40, length=F.col("n_tokens") + 1).toPandas()
+    want = {r.doc_id: r.n_tokens + 1 for r in counted.collect()}
+    assert got.groupby("doc_id")["length"].sum().to_dict() == want and got.groupby("bin_id")["length"].sum().max() <= 512
+
+
 def test_packing_awkward(spark, awkward):
     got = packing.pack(awkward).toPandas()
     assert got.groupby("bin_id")["length"].sum().max() <= packing.CAPACITY
@@ -367,8 +483,9 @@ def test_chunks_encode_as_whole_texts(ranks):
 
 
 def test_store_round_trip(spark, docs, ranks, tmp_path):
-    dictionary = token_store.train_dictionary(docs, ranks, 300)
-    encoded = token_store.encode_corpus(docs, ranks, dictionary)
+    ids = token_store.encode_ids(docs, ranks)
+    dictionary = token_store.train_dictionary(ids)
+    encoded = token_store.encode_corpus(ids, dictionary)
     folder = f"file://{tmp_path}/store"
     token_store.write_store(encoded, dictionary, folder)
     encode = tokens.encoder(ranks).encode_ordinary
@@ -380,19 +497,25 @@ def test_store_round_trip(spark, docs, ranks, tmp_path):
         assert ids.tolist() == encode(texts[row.doc_id]) and len(ids) == row.n_tokens
 
 
-def test_dictionary_helps_short_documents(docs, ranks):
-    short = docs.where("n_chars < 400")
-    size = lambda d: token_store.encode_corpus(short, ranks, d).agg(F.sum("n_bytes")).first()[0]
-    assert size(token_store.train_dictionary(docs, ranks, 500)) < 0.9 * size(b"")
+def test_dictionary_helps_short_documents_at_every_depth(docs, ranks, monkeypatch):
+    ids = token_store.encode_ids(docs, ranks)
+    short = ids.where("length(raw) < 200")
+    size = lambda d: token_store.encode_corpus(short, d).agg(F.sum("n_bytes")).first()[0]
+    assert size(token_store.train_dictionary(ids)) < 0.9 * size(b"")
+    monkeypatch.setattr(token_store, "LAST_BYTES", 200_000)  # several levels of chunks
+    monkeypatch.setattr(token_store, "CHUNK_BYTES", 300_000)
+    assert size(token_store.train_dictionary(ids)) < 0.93 * size(b"")
 
 
 def test_store_awkward(spark, awkward, ranks):
-    dictionary = token_store.train_dictionary(awkward, ranks)
-    got = token_store.encode_corpus(awkward, ranks, dictionary).collect()
+    ids = token_store.encode_ids(awkward, ranks)
+    dictionary = token_store.train_dictionary(ids)
+    got = token_store.encode_corpus(ids, dictionary).collect()
     assert len(got) == 15
     by = {r.doc_id: r for r in got}
     assert by[3].frame is None and by[5].n_tokens == 0 and len(token_store.decode(by[5].frame, dictionary)) == 0
-    assert token_store.train_dictionary(empty(spark), ranks) == b"" and token_store.encode_corpus(empty(spark), ranks, b"").count() == 0
+    none = token_store.encode_ids(empty(spark), ranks)
+    assert token_store.train_dictionary(none) == b"" and token_store.encode_corpus(none, b"").count() == 0
 
 
 @pytest.mark.parametrize("frequent", [1 << 18, 500, 0])
@@ -445,7 +568,7 @@ def test_beam_beats_greedy_and_norms_are_of_reconstructions():
 
 
 def test_neighbours_awkward(spark):
-    rows = [(1, [0.0, 1.0]), (2, [0.0, 1.0]), (2, [0.0, 1.0]), (3, None), (4, [1.0]), (5, [1.0, None]), (6, [float("nan"), 1.0]), (None, [1.0, 1.0]), (7, [3.0, 3.0]), (8, [])]
+    rows = [(1, [0.0, 1.0]), (2, [0.0, 1.0]), (2, [0.0, 1.0]), (3, None), (4, [1.0]), (5, [1.0, None]), (6, [float("nan"), 1.0]), (None, [1.0, 1.0]), (7, [3.0, 3.0]), (8, []), (9, [float("inf"), 1.0]), (10, [0.0, float("-inf")])]
     vectors = ann.clean_vectors(spark.createDataFrame(rows, "vec_id bigint, embedding array<float>").withColumn("rank", F.lit(1)).withColumn("part", F.lit(1)))
     got = ann.search(vectors, ann.learn(vectors, 2, 4, 1)).collect()
     assert {(r.vec_id, r.neighbour_id, r["rank"]) for r in got} == {(1, 2, 1), (1, 7, 2), (2, 1, 1), (2, 7, 2), (7, 1, 1), (7, 2, 2)}
@@ -615,6 +738,25 @@ def test_every_document_is_scored(spark, smoke_dir):
     assert {r.toxic for r in got} == {True, False} and all((r.peak >= toxicity.THRESHOLD) == bool(r.spans) for r in got)
 
 
+def test_offsets_are_of_the_text_as_given(spark):
+    """Lower-casing changes the length of some letters; offsets must not."""
+    bad = [f"{prose(4, i)} {'idiot' if i % 2 else 'clown'} {prose(4, 700 + i)}" for i in range(60)]
+    field = toxicity.fit(bad, [prose(12, 5000 + i) for i in range(200)])
+    texts = ["İdiot clown", "İİİ ßtraße CLOWN é idiot", "日本 Clown語 clown"]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    for r in toxicity.tag(rows, field).collect():
+        found = [texts[r.doc_id][s.start : s.end].lower() for s in r.spans]
+        assert "clown" in " ".join(found).split() and all(x == x.strip() for x in found)
+
+
+def test_forms_outside_the_derived_list_are_tagged(spark):
+    """Stems carry over: inflections that were never seen are tagged, unrelated words are not."""
+    bad = [f"{prose(4, i)} {('idiotic', 'idiots', 'clownish', 'clowns')[i % 4]} {prose(4, 700 + i)}" for i in range(120)]
+    field = toxicity.fit(bad, [prose(12, 5000 + i) for i in range(300)])
+    got = toxicity.tag(spark.createDataFrame([(1, f"{prose(3, 1)} idiotically {prose(3, 2)} clowning"), (2, prose(30, 9))], "doc_id bigint, text string"), field).collect()
+    assert len(got[0].spans) == 2 and got[1].spans == []
+
+
 def test_toxicity_awkward(spark, awkward):
     field = toxicity.fit([], [])
     assert toxicity.tag(awkward, field).where("not toxic").count() == 15
@@ -640,6 +782,49 @@ def test_written_tables_can_be_cleared(spark, monkeypatch):
 # pipeline
 
 
+def test_pipeline_equals_brute_force_stage_by_stage(spark, smoke_dir):
+    import corpus_pipeline
+
+    docs = table(spark, smoke_dir, "documents")
+    steps = dict(corpus_pipeline.STAGES)
+    rows = lambda df: Counter((r.doc_id, r.text, r.source) for r in df.collect())
+    after = written(steps["language_id"](spark, docs, smoke_dir), "a")
+    verdict = {(r.doc_id, r.n): r.rejected for r in langid.classify(langid.evidence_of_documents(docs).withColumn("n", F.xxhash64("text")), langid.fit_text_model(spark, docs)).collect()}
+    assert rows(after) == Counter((r.doc_id, r.text, r.source) for r in docs.withColumn("n", F.xxhash64("text")).collect() if not verdict[r.doc_id, r.n])
+    least: dict = {}
+    for r in after.collect():
+        least[r.text] = min(least.get(r.text, r.doc_id), r.doc_id)
+    exact = written(steps["exact_dedup"](spark, after, smoke_dir), "b")
+    assert {(r.text, r.doc_id) for r in exact.collect()} == set(least.items()) and exact.count() == len(least)
+    near = written(steps["near_dedup"](spark, exact, smoke_dir), "c")
+    fps = simhash.fingerprints(exact).toPandas().sort_values("doc_id").reset_index(drop=True)
+    pairs = near_brute(fps[["f0", "f1", "f2", "f3"]].to_numpy().view(np.uint64), simhash.RADIUS)
+    label = list(range(len(fps)))
+    for _ in range(20):
+        for a, b in pairs:
+            label[a] = label[b] = min(label[a], label[b])
+    dropped = {int(fps["doc_id"][i]) for i, x in enumerate(label) if x != i}
+    kept = {r.doc_id for r in near.collect()}
+    lost = {r.doc_id for r in exact.collect()} - kept
+    assert lost <= dropped and len(lost) >= 0.9 * len(dropped)
+    mixed = written(steps["mix_sources"](spark, near, smoke_dir), "d")
+    copies = {(r.doc_id, r.source): r.copies for r in mixing.mix(near).collect()}
+    assert Counter((r.doc_id, r.source) for r in mixed.collect()) == Counter({k: v for k, v in copies.items() if v})
+    packed = steps["pack_sequences"](spark, mixed, smoke_dir).toPandas()
+    words = Counter()
+    for r in mixed.collect():
+        words[r.doc_id] += len(r.text.split()) + 1
+    assert packed.groupby("doc_id")["length"].sum().to_dict() == dict(words) and packed.groupby("bin_id")["length"].sum().max() <= packing.CAPACITY
+
+
+def test_text_ids_count_as_null(spark, ranks):
+    df = spark.createDataFrame([("a1", "one two", "en", "s", 1), ("2", "three four", "en", "s", 1)], "doc_id string, text string, lang string, source string, n_chars bigint")
+    assert Counter(r.doc_id for r in token_counts.token_counts(df, ranks).collect()) == Counter([None, 2])
+    assert [r.doc_id for r in mixing.mix(df).collect()] == [2] and substrings.shared_passages(df, 2, 1).count() == 0
+    assert {r.doc_id for r in toxicity.tag(df, toxicity.fit([], [])).collect()} == {None, 2}
+    assert {r.doc_id for r in token_store.encode_ids(df, ranks).collect()} == {None, 2}
+
+
 def test_pipeline_stages(spark, smoke_dir, awkward):
     import corpus_pipeline
 

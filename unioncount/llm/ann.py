@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import ragged, table, written
+from .common import least_by_hash, ragged, table, written
 
 CODEBOOKS, CODEWORDS, BEAM, STEPS = 16, 256, 4, 2
 NEIGHBOURS = 10
@@ -26,12 +26,13 @@ BLOCK = 16_384
 
 
 def clean_vectors(vectors: DataFrame) -> DataFrame:
-    """``vec_id, x``: rows with an id and a vector of the usual dimension without nulls and NaN; one row an id.
+    """``vec_id, x``: rows with a whole-number id and a vector of the usual dimension without nulls, NaN and infinities; one
+    row an id.
 
     The usual dimension is the most frequent one (the larger of ties).  Of repeated ids the least vector stays.
     """
-    rows = vectors.select(F.col("vec_id").cast("bigint").alias("vec_id"), F.col("embedding").cast("array<float>").alias("x"))
-    fine = rows.where(F.col("vec_id").isNotNull() & (F.size("x") > 0) & ~F.exists("x", lambda v: v.isNull() | F.isnan(v)))
+    rows = vectors.select(F.col("vec_id").try_cast("bigint").alias("vec_id"), F.col("embedding").cast("array<float>").alias("x"))
+    fine = rows.where(F.col("vec_id").isNotNull() & (F.size("x") > 0) & ~F.exists("x", lambda v: v.isNull() | F.isnan(v) | (F.abs(v) == float("inf"))))
     usual = fine.groupBy(F.size("x").alias("d")).count().orderBy(F.desc("count"), F.desc("d")).first()
     return fine.where(F.size("x") == (usual.d if usual else 1)).groupBy("vec_id").agg(F.min("x").alias("x"))
 
@@ -51,7 +52,7 @@ def learn(vectors: DataFrame, codebooks: int = CODEBOOKS, codewords: int = CODEW
     A step sends each codeword's sum and count, aggregated in the cluster, to the driver: a table of fixed size.
     """
     spark = vectors.sparkSession
-    seeds = vectors.orderBy(F.xxhash64("vec_id", F.lit(1)), "vec_id").limit(codewords * (codebooks + 1)).collect()  # where the codewords start
+    seeds = least_by_hash(vectors, F.xxhash64("vec_id", F.lit(1)), codewords * (codebooks + 1), "vec_id")  # where the codewords start
     first = np.array([r.x for r in seeds], np.float32)
     if not len(first):
         return np.zeros((codebooks, codewords, 1), np.float32)
@@ -124,6 +125,8 @@ def lookup_scores(tables: np.ndarray, codes: np.ndarray, half_norms: np.ndarray)
 def search(vectors: DataFrame, books: np.ndarray, k: int = NEIGHBOURS, rerank: int = RERANK, block: int = BLOCK) -> DataFrame:
     """``vec_id, neighbour_id, rank, distance``: for every vector its ``k`` nearest others by Euclidean distance.
 
+    Candidates of a query are the best of each block by lookup scores, at least ``rerank`` and ``RERANK_SHARE`` of the
+    block: blocks of up to ``rerank`` vectors are so searched exactly, larger ones with a recall that tests hold at 0.9.
     Ties in distance go to the least id.  A table of fewer than ``k + 1`` vectors gives all others.
     """
     n = vectors.count()

@@ -24,7 +24,7 @@ BUCKETS = 1 << 16
 #: Labelled rows for each language that the text model is fitted on: those with the least hash of their id.
 FIT_ROWS = 400
 UNKNOWN = "und"
-#: A text counts as at most this many independent trigrams, as neighbouring trigrams depend on each other.
+#: Neighbouring trigrams depend on each other: n of them count as n E / (n + E) independent ones, so a text as E at most.
 TEXT_EVIDENCE = 60.0
 #: Pseudo-counts that tie a host to its domain, and a domain to the corpus.
 HOST_PULL, DOMAIN_PULL = 5.0, 20.0
@@ -137,7 +137,7 @@ def classify(rows: DataFrame, model: TextModel, min_posterior: float = MIN_POSTE
         for batch in batches:
             like, n = score_texts(batch.column("letters"), shared.value)
             seen = (n > 0) & (pc.binary_length(pc.utf8_trim_whitespace(batch.column("letters"))).fill_null(0).to_numpy(zero_copy_only=False) > 0)
-            like *= (np.minimum(n, TEXT_EVIDENCE) / np.maximum(n, 1))[:, None]
+            like *= (TEXT_EVIDENCE / (n + TEXT_EVIDENCE))[:, None]
             like[~seen] = 0
             soft = like + prior
             soft = np.exp(soft - soft.max(1, keepdims=True))
@@ -161,15 +161,19 @@ def classify(rows: DataFrame, model: TextModel, min_posterior: float = MIN_POSTE
     const = lambda xs: F.array(*[F.lit(float(x)) for x in xs])
     fused = scored
     for by in ("declared", "suffix", "domain", "host"):
-        fused = fused.join(sums(by), by, "left")
+        # rows without the key match nothing; keys of their own keep them from meeting in one task
+        counts = sums(by).withColumnRenamed(by, "key__")
+        spread = F.concat(F.lit("\0"), F.pmod(F.xxhash64(*ids, "like"), F.lit(4096)).cast("string"))
+        fused = fused.join(counts, F.coalesce(F.col(by), spread) == F.col("key__"), "left").drop("key__")
     own = F.when(F.col("seen"), F.col("soft")).otherwise(none)
     # leave-one-out: a row's own text must not come back to it as the prior of its host
     less = lambda c: F.zip_with(F.coalesce(F.col(c), none), F.when(F.col(c).isNull(), none).otherwise(own), lambda a, b: F.greatest(a - b, F.lit(0.0)))
     pull = lambda n, parent, weight: F.zip_with(n, parent, lambda a, p: (a + weight * p) / (F.aggregate(n, F.lit(0.0), lambda s, x: s + x) + weight))
     fused = fused.withColumn("p_domain", pull(less("domain_n"), const(share), DOMAIN_PULL))
     fused = fused.withColumn("p_host", pull(less("host_n"), F.col("p_domain"), HOST_PULL))
-    # P(tag | language), up to a factor that all languages share: smoothed counts of the tag over those of the language
-    tag = lambda c: F.when(F.col(c).isNull(), none).otherwise(F.zip_with(less(c), const(total), lambda a, t: F.log((a + 0.5) / (t + 1.0))))
+    # P(tag | language), up to a factor that all languages share: counts of the tag, smoothed by the share of the language,
+    # over those of the language; a tag that no other row has says nothing
+    tag = lambda c: F.zip_with(F.zip_with(less(c), const(share), lambda a, p: a + p), const(total), lambda a, t: F.log(a / (t + 1.0)))
     logs = F.zip_with(F.zip_with(F.col("like"), F.col("p_host"), lambda a, p: a + F.log(p)), F.zip_with(tag("declared_n"), tag("suffix_n"), lambda a, b: a + b), lambda a, b: a + b)
     fused = fused.withColumn("logs", logs).withColumn("top", F.array_max("logs"))
     fused = fused.withColumn("z", F.aggregate(F.transform("logs", lambda x: F.exp(x - F.col("top"))), F.lit(0.0), lambda s, x: s + x))

@@ -125,7 +125,7 @@ def mix(docs: DataFrame, weights: Mapping[str, float] | None = None, total: floa
     plan = written(expected_copies(docs, weights, total, temper), "mix-plan")
     n = plan.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     leaves = max(1, -(-int(n) // leaf_rows))
-    ids = docs.where("doc_id is not null").select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("source").cast("string").alias("source"))
+    ids = docs.where(F.col("doc_id").try_cast("bigint").isNotNull()).select(F.col("doc_id").try_cast("bigint").alias("doc_id"), F.col("source").cast("string").alias("source"))
     rate = plan.select(F.col("source").alias("at"), "expected")
     joined = ids.join(rate, ids["source"].eqNullSafe(rate["at"]))
     uniform = (F.xxhash64("doc_id", F.lit(seed)).bitwiseAND(F.lit((1 << 53) - 1))) / float(1 << 53)
@@ -148,7 +148,11 @@ def mix(docs: DataFrame, weights: Mapping[str, float] | None = None, total: floa
 
 
 def op1_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Copies of every document in a mix whose shares are the tempered sizes of the sources."""
+    """``doc_id, source, copies, expected`` of every document in a mix whose shares are the tempered sizes of the sources.
+
+    Rows that repeat an id within a source are one document; rows without an id, or with one that is no whole number, are
+    left out; null sources are a source; an empty table gives no rows.  See ``mix``.
+    """
     return mix(table(spark, sf_dir, "documents"))
 
 

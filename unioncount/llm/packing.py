@@ -2,7 +2,8 @@
 
 A configuration is a multiset of piece lengths that fits a bin.  The covering program over configurations is solved
 by multiplicative weights, whose pricing step is a knapsack by dynamic programming; the fractional solution is rounded
-down, and what remains is packed best-fit decreasing over the histogram.  The histogram has at most ``capacity``
+to whole multiplicities, the program is solved again for what remains, and the last pieces go best-fit into the room
+that rounded bins have left, or into new ones.  The histogram has at most ``capacity``
 entries whatever the size of the corpus, so the driver solves it, and the pieces are placed by a join on length and
 rank.
 """
@@ -21,8 +22,13 @@ from .common import table, written
 CAPACITY = 2048
 ROUNDS = 400
 SALTS = 32
-#: Share of the scarcest count that a round covers, the rate at which weights fall, and the fill of rounded configurations.
-STEP, RATE, FULL = 0.25, 0.3, 0.999
+#: Share of the scarcest count that a round covers, and the rate at which weights fall.
+STEP, RATE = 0.25, 0.3
+#: What makes a full bin of long pieces worth more than one of short pieces, which are easier to place later.
+LONGER = 0.02
+#: The program is solved again for what rounding leaves, in half as many rounds each time; from a pass on, bins this full
+#: are taken.
+PASSES = (0.999, 0.995, 0.98, 0.95)
 
 
 def length_of(text: Column) -> Column:
@@ -66,24 +72,22 @@ def best_configuration(lengths: np.ndarray, values: np.ndarray, counts: np.ndarr
     return dict(chosen), float(best[capacity])
 
 
-def solve(histogram: dict[int, int], capacity: int, rounds: int = ROUNDS) -> tuple[list[tuple[dict[int, int], int]], float]:
-    """Whole configurations with multiplicities that hold each piece just once, and a lower bound of the bins needed.
+def program(lengths: np.ndarray, counts: np.ndarray, capacity: int, rounds: int) -> tuple[dict[tuple, float], float]:
+    """Fractional multiplicities of configurations that cover ``counts`` on average, and a lower bound of the bins.
 
-    Multiplicative weights on the dual: a length's weight falls as the chosen configurations cover its count.  The
-    bound is the best dual value seen (weights scaled so that no configuration is worth more than one bin), or the
-    total length if that asks for more.  Plain best-fit decreasing is taken where it needs no more bins.
+    Multiplicative weights on the dual: a length's weight falls as the chosen configurations cover its count.  The bound
+    is the best dual value seen (weights scaled so that no configuration is worth more than one bin), or the total
+    length if that asks for more.
     """
-    lengths = np.array(sorted(histogram), np.int64)
-    if not len(lengths):
-        return [], 0.0
-    counts = np.array([histogram[int(x)] for x in lengths], float)
+    counts = counts.astype(float)
     weights = lengths / capacity
     covered = np.zeros(len(lengths))
     used: Counter = Counter()
     bound = float(np.ceil((lengths * counts).sum() / capacity - 1e-9))
     for _ in range(rounds):
-        chosen, worth = best_configuration(lengths, weights, counts, capacity)
-        bound = max(bound, float((weights * counts).sum() / worth))
+        values = weights * (1 + LONGER * lengths / capacity)
+        chosen, worth = best_configuration(lengths, values, counts, capacity)
+        bound = max(bound, float((values * counts).sum() / worth))
         index = np.fromiter(chosen, int)
         rate = np.array([chosen[i] for i in index]) / counts[index]  # share of each count that one such bin covers
         step = STEP / rate.max()
@@ -91,23 +95,64 @@ def solve(histogram: dict[int, int], capacity: int, rounds: int = ROUNDS) -> tup
         covered[index] += step * rate
         weights[index] *= np.exp(-RATE * step * rate)
     scale = float(counts @ lengths) / max(float((covered * counts) @ lengths), 1e-300)  # covers the corpus once on average
-    left = counts.astype(np.int64)
+    return {c: x * scale for c, x in used.items()}, bound
+
+
+def solve(histogram: dict[int, int], capacity: int, rounds: int = ROUNDS, report: dict | None = None) -> tuple[list[tuple[dict[int, int], int]], float]:
+    """Whole configurations with multiplicities that hold each piece just once, and a lower bound of the bins needed.
+
+    Multiplicities of the program are rounded to the nearest whole number that the remaining pieces allow, the fullest
+    configurations first; the program of what remains follows, once for each of ``PASSES``.  ``report`` takes the share of
+    the length that the program has placed.
+    """
+    lengths = np.array(sorted(histogram), np.int64)
+    if not len(lengths):
+        return [], 0.0
+    left = np.array([histogram[int(x)] for x in lengths], np.int64)
+    total = int(lengths @ left)
     plan: list[tuple[dict[int, int], int]] = []
-    fill = {c: sum(int(lengths[i]) * k for i, k in c) for c in used}
-    for config in sorted(used, key=lambda c: (-fill[c], -used[c], c)):
-        most = min(int(left[i]) // k for i, k in config)
-        times = min(most, int(used[config] * scale)) if fill[config] >= FULL * capacity else 0
-        if times > 0:
-            plan.append((dict(config), times))
-            for i, k in config:
-                left[i] -= k * times
+    bound = None
+    for i_pass, full in enumerate(PASSES):
+        some = np.flatnonzero(left)
+        if not len(some):
+            break
+        used, least = program(lengths[some], left[some], capacity, max(1, rounds >> i_pass))
+        bound = least if bound is None else bound
+        fill = {c: sum(int(lengths[some[i]]) * k for i, k in c) for c in used}
+        for config in sorted(used, key=lambda c: (-fill[c], -used[c], c)):
+            times = min(min(int(left[some[i]]) // k for i, k in config), int(used[config] + 0.5))
+            if times > 0 and fill[config] >= full * capacity:
+                plan.append(({int(some[i]): k for i, k in config}, times))
+                for i, k in config:
+                    left[some[i]] -= k * times
+    if report is not None:
+        report |= {"by_program": 1 - int(lengths @ left) / total, "bound": bound}
+    plan = fill_room(plan, lengths, left, capacity)
     plan += best_fit_decreasing(lengths, left, capacity)
-    plain = best_fit_decreasing(lengths, counts.astype(np.int64), capacity)
-    if sum(t for _, t in plain) < sum(t for _, t in plan):
-        plan = plain
     return [({int(lengths[i]): k for i, k in config.items()}, times) for config, times in plan], bound
 
 
+def fill_room(plan: list[tuple[dict[int, int], int]], lengths: np.ndarray, left: np.ndarray, capacity: int) -> list[tuple[dict[int, int], int]]:
+    """Puts remaining pieces, the longest first, into the bins whose room they fit best; takes them off ``left``."""
+    by_room: dict[int, list[list]] = {}
+    for config, times in plan:
+        by_room.setdefault(capacity - sum(int(lengths[i]) * k for i, k in config.items()), []).append([config, times])
+    for i in np.flatnonzero(left)[::-1]:
+        size = int(lengths[i])
+        for room in sorted(r for r in by_room if r >= size):
+            bins = by_room[room]
+            while bins and left[i] > 0:
+                config, times = bins.pop()
+                now = min(times, int(left[i]))
+                if now < times:
+                    bins.append([config, times - now])
+                by_room.setdefault(room - size, []).append([{**config, int(i): config.get(int(i), 0) + 1}, now])
+                left[i] -= now
+            if not left[i]:
+                break
+    return [(config, times) for bins in by_room.values() for config, times in bins]
+
+
 def best_fit_decreasing(lengths: np.ndarray, left: np.ndarray, capacity: int) -> list[tuple[dict[int, int], int]]:
     """Fill bins with the largest remaining piece that fits, again and again; equal bins are made at one go."""
     plan = []
@@ -133,15 +178,17 @@ def best_fit_decreasing(lengths: np.ndarray, left: np.ndarray, capacity: int) ->
     return plan
 
 
-def pack(docs: DataFrame, capacity: int = CAPACITY, rounds: int = ROUNDS, salts: int = SALTS) -> DataFrame:
+def pack(docs: DataFrame, capacity: int = CAPACITY, rounds: int = ROUNDS, salts: int = SALTS, length: Column | None = None) -> DataFrame:
     """``bin_id, slot, doc_id, piece, start, length``: where each piece of each document goes.
 
-    Documents longer than a bin are cut into full bins and a rest; ``start`` is the first word of the piece.  Null and
+    Lengths are words and a separator, or what the column ``length`` says (tokens, if ``docs`` has their counts; null
+    and less than 1 count as 1).  Documents longer than a bin are cut into full bins and a rest; ``start`` is the first
+    word of the piece.  Null and
     empty texts have length 1 (their separator).  Repeated rows and ids are packed as often as they occur.  Bins are
     numbered from 0; no bin holds more than ``capacity``.
     """
     spark = docs.sparkSession
-    sized = docs.select("doc_id", length_of(F.col("text")).alias("n"))
+    sized = docs.select("doc_id", (length_of(F.col("text")) if length is None else F.greatest(F.coalesce(length, F.lit(1)), F.lit(1)).cast("int")).alias("n"))
     cut = sized.select("doc_id", "n", F.explode(F.sequence(F.lit(0), ((F.col("n") - 1) / capacity).cast("int"))).alias("piece"))
     pieces = cut.select("doc_id", "piece", (F.col("piece") * capacity).alias("start"), F.least(F.col("n") - F.col("piece") * capacity, F.lit(capacity)).alias("length"))
     # equal lengths are ranked in salted parts, so that a frequent length is not one task's work
@@ -173,9 +220,11 @@ def pack(docs: DataFrame, capacity: int = CAPACITY, rounds: int = ROUNDS, salts:
 
 
 def op6_pack(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The whole corpus packed into sequences of ``CAPACITY`` words."""
+    """The whole corpus packed into sequences of ``CAPACITY`` words: ``bin_id, slot, doc_id, piece, start, length``, as
+    ``pack`` defines them for nulls, empty and long texts, repeated rows and empty tables."""
     return pack(table(spark, sf_dir, "documents"))
 
 
 def stage_pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Where each piece of each document goes; every row that comes in is placed."""
     return pack(docs)

@@ -66,10 +66,11 @@ def shared_passages(docs: DataFrame, threshold: int = THRESHOLD, seed: int = SEE
     documents together to their maximal common spans.  Every shared window of a document is in one passage.
 
     Documents are told apart by id and text together (``row``): repeated rows are one document, equal texts under two
-    ids repeat each other.  Repeats within one document alone are not reported.  Rows with a null id and texts below the
-    threshold have no passages.
+    ids repeat each other.  Repeats within one document alone are not reported.  Rows with a null id (or one that is no whole
+    number) and texts below the threshold have no passages.  Windows count as equal if their anchor and their whole
+    content have equal 64-bit hashes, which together are as good as 128 bits.
     """
-    keyed = docs.where("doc_id is not null and text is not null").select(F.col("doc_id").cast("bigint").alias("doc_id"), F.xxhash64("doc_id", "text").alias("row"), "text")
+    keyed = docs.where(F.col("doc_id").try_cast("bigint").isNotNull() & F.col("text").isNotNull()).select(F.col("doc_id").try_cast("bigint").alias("doc_id"), F.xxhash64("doc_id", "text").alias("row"), "text")
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

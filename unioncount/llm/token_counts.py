@@ -92,7 +92,7 @@ def token_counts(docs: DataFrame, ranks: dict[bytes, int], frequent: int = FREQU
                         column.append(x)
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(rows, (pa.int64(), pa.int64(), pa.string(), pa.int32(), pa.int64(), pa.int32()), strict=True)], ["doc_id", "h", "piece", "k", "here", "one"])
 
-    keyed = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.xxhash64("text").alias("h"), "text")
+    keyed = docs.select(F.col("doc_id").try_cast("bigint").alias("doc_id"), F.xxhash64("text").alias("h"), "text")
     parts = keyed.mapInArrow(split, "doc_id bigint, h bigint, piece string, k int, here bigint, one int")
     # a document without rare pre-tokens sends one row whose key is its own and matches nothing
     joined = parts.join(counted.select("piece", "n"), "piece", "left").select("doc_id", "h", (F.col("here") + F.col("k") * F.coalesce("n", F.lit(0))).alias("here"), "one")
@@ -102,5 +102,6 @@ def token_counts(docs: DataFrame, ranks: dict[bytes, int], frequent: int = FREQU
 
 
 def op8_token_counts(spark: SparkSession, sf_dir: str, vocabulary: str = VOCABULARY) -> DataFrame:
-    """Tokens of every document under a public byte-level vocabulary."""
+    """``doc_id, n_tokens`` of every document under a public byte-level vocabulary: repeated rows and ids as often as they
+    occur, null and empty texts with 0, ids that are no whole numbers as null; an empty table gives no rows."""
     return token_counts(table(spark, sf_dir, "documents"), load_ranks(vocabulary))

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table, worker_cache
+from .common import least_by_hash, table, worker_cache
 
 #: Labelled documents that the field is fitted to: those of each class with the least hash of their id.
 FIT_TOXIC, FIT_CLEAN = 1000, 2000
@@ -142,7 +142,7 @@ def marginals(emission: np.ndarray, lengths: np.ndarray, transition: np.ndarray,
 
 
 def tokenize(text: str) -> list[str]:
-    return _WORD.findall(text.lower())
+    return [w.lower() for w in _WORD.findall(text)]
 
 
 def toxic_forms(toxic: list[set[str]], clean: list[set[str]]) -> set[str]:
@@ -228,7 +228,7 @@ def sample(docs: DataFrame, labels: DataFrame) -> tuple[list[str], list[str]]:
     found: tuple[list[str], list[str]] = ([], [])
     for out, value, most in ((found[0], 1, FIT_TOXIC), (found[1], 0, FIT_CLEAN)):
         named = labels.where((F.col("toxic") == value) & F.col("doc_id").isNotNull()).select("doc_id", F.xxhash64("doc_id", F.lit(5)).alias("k")).distinct()
-        ids = [r.doc_id for r in named.orderBy("k", "doc_id").limit(most).collect()]
+        ids = [r.doc_id for r in least_by_hash(named, F.col("k"), most, "doc_id")]
         if ids:
             rows = docs.where(F.col("doc_id").isin(ids) & F.col("text").isNotNull()).select("doc_id", "text").distinct().collect()
             out += [r.text for r in sorted(rows, key=lambda r: (r.doc_id, r.text))]
@@ -243,7 +243,7 @@ class _Emissions(dict):
     def __missing__(self, word: str) -> float:
         if len(self) >= 1_000_000:
             self.clear()
-        value = self[word] = self.field.emission(word)
+        value = self[word] = self.field.emission(word.lower())
         return value
 
 
@@ -251,9 +251,9 @@ def tag(docs: DataFrame, field: Field, threshold: float = THRESHOLD) -> DataFram
     """``doc_id, score, peak, toxic, spans`` for every row of ``docs``.
 
     ``score`` is the sum of the marginals at or over ``threshold``, ``peak`` the greatest marginal; a document is toxic
-    if its score reaches the field's cut.  ``spans`` are the character offsets (in the lower-cased
-    text, end exclusive) of runs of tokens at or over ``threshold``.  Null, empty
-    and wordless texts score 0; repeated rows get equal results.
+    if its score reaches the field's cut.  ``spans`` are the character offsets (in the text as
+    given, end exclusive) of runs of tokens at or over ``threshold``.  Null, empty and wordless texts score 0; repeated
+    rows get equal results; ids that are no whole numbers become null.
     """
     shared = docs.sparkSession.sparkContext.broadcast(field)  # of fixed size
 
@@ -266,7 +266,7 @@ def tag(docs: DataFrame, field: Field, threshold: float = THRESHOLD) -> DataFram
         get = cache["emissions"].__getitem__
         for whole in batches:
             lo = 0
-            texts = [(t or "").lower() for t in whole.column("text").to_pylist()]
+            texts = [t or "" for t in whole.column("text").to_pylist()]
             sizes = np.cumsum([len(t) for t in texts])
             while lo < len(texts):  # lanes of some million characters at a time
                 hi = max(lo + 1, int(np.searchsorted(sizes, (sizes[lo - 1] if lo else 0) + 4_000_000)))
@@ -297,7 +297,7 @@ def tag(docs: DataFrame, field: Field, threshold: float = THRESHOLD) -> DataFram
                 )
                 lo = hi
 
-    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").mapInArrow(run, "doc_id bigint, score double, peak double, toxic boolean, spans array<struct<start:int,end:int>>")
+    return docs.select(F.col("doc_id").try_cast("bigint").alias("doc_id"), "text").mapInArrow(run, "doc_id bigint, score double, peak double, toxic boolean, spans array<struct<start:int,end:int>>")
 
 
 def op7_toxic_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
