@@ -31,12 +31,15 @@ def mr_sketch(df: DataFrame, p: SketchParams, by: tuple[str, ...] = ("holder",),
 
 
 def fz_sketch(df: DataFrame, p: SketchParams, by: tuple[str, ...] = ("holder",)) -> DataFrame:
-    """``by..., arr, bits``: first-zero sketch; every element is hashed anew for each of the ``m`` arrays."""
+    """``by..., arr, bits``: first-zero sketch; every element is hashed anew for each of the ``m`` arrays.  The fast hash
+    reads the text once and mixes it with the number of each array."""
     distinct = df.where("element is not null").select(*by, "element").distinct()
-    each = distinct.select(*by, "element", F.explode(F.sequence(F.lit(0), F.lit(p.m - 1))).alias("arr"))
-    h = hash60(F.concat(F.col("arr").cast("string"), F.lit("|"), F.col("element")), p.key, p.hash)
-    x = rank_of(h.bitwiseAND(F.lit((1 << (p.w - 1)) - 1)), p.w)
-    return each.groupBy(*by, "arr").agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("bigint"), x)).alias("bits"))
+    fast = p.hash == "xx64"
+    told = F.xxhash64(F.lit(p.key), "element") if fast else F.col("element")
+    each = distinct.select(*by, told.alias("e"), F.explode(F.sequence(F.lit(0), F.lit(p.m - 1))).alias("arr"))
+    h = F.xxhash64("e", "arr") if fast else hash60(F.concat(F.col("arr").cast("string"), F.lit("|"), F.col("e")), p.key, p.hash)
+    placed = each.select(*by, "arr", h.bitwiseAND(F.lit((1 << (p.w - 1)) - 1)).alias("h")).select(*by, "arr", rank_of(F.col("h"), p.w).alias("x"))
+    return placed.groupBy(*by, "arr").agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("bigint"), F.col("x"))).alias("bits"))
 
 
 def merge(sketch: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
