@@ -555,6 +555,68 @@ def test_neighbours_recall_and_distances(spark, small_dir):
         assert hits / len(got) >= 0.9
 
 
+def test_neighbours_query_set(spark, small_dir):
+    """The ids divisible by 50, all of them, each against all vectors."""
+    x = table(spark, small_dir, "embeddings").orderBy("vec_id").toPandas()
+    m, ids = np.stack(x["embedding"]).astype(float), x["vec_id"].to_numpy()
+    got = ann.op3_neighbours(spark, small_dir).toPandas()
+    assert set(got["vec_id"]) == set(ids[ids % 50 == 0]) and len(got) == 10 * (ids % 50 == 0).sum()
+    hits = 0
+    for i, part in got.groupby("vec_id"):
+        d = ((m - m[ids == i][0]) ** 2).sum(1)
+        d[ids == i] = np.inf
+        hits += len(set(ids[np.argsort(d)[:10]]) & set(part["neighbour_id"]))
+    assert hits / len(got) >= 0.9
+
+
+def test_neighbours_recall_of_many_blocks(spark):
+    """20,000 directions without clusters, in several blocks; more vectors than the codebooks are fitted to."""
+    n = 20_000
+    m = np.random.default_rng(3).normal(size=(n, 64)).astype(np.float32)
+    m /= np.linalg.norm(m, axis=1, keepdims=True)
+    vectors = written(spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(m)], "vec_id bigint, x array<float>"), "v")
+    asked = vectors.where("vec_id % 200 = 0")
+    books = ann.learn(vectors, rows=8_000)
+    for block in (16_384, 6_000):
+        got = ann.search(vectors, books, block=block, queries=asked).toPandas()
+        assert len(got) == 10 * (n // 200) and set(got["vec_id"]) == set(range(0, n, 200))
+        hits = 0
+        for i, part in got.groupby("vec_id"):
+            d = ((m - m[i]) ** 2).sum(1)
+            d[i] = np.inf
+            hits += len(set(np.argpartition(d, 10)[:10]) & set(part["neighbour_id"]))
+        assert hits / len(got) >= 0.9
+
+
+def test_best_of_holds_the_greatest():
+    scores = np.random.default_rng(1).normal(size=(20, 3_000)).astype(np.float32)
+    scores[0] = 0  # ties
+    scores[1, ::16] = 9  # the sample misleads
+    for most in (1, 11, 200, 2_999, 3_000, 5_000):
+        for row, found in zip(scores, ann.best_of(scores, most), strict=True):
+            want = min(most, 3_000)
+            assert len(found) >= want == len(np.unique(found)[:want]) and np.sort(row[found])[-want] == np.sort(row)[-want]
+
+
+def test_near_enough_keeps_ties_and_great_values():
+    x = np.repeat(np.random.default_rng(2).normal(size=(40, 8)).astype(np.float32), 30, axis=0)  # copies, more than are asked for
+    for scale in (np.float32(1), np.float32(1e-12), np.float32(1e30)):
+        with np.errstate(over="ignore", invalid="ignore"):
+            y = x * scale
+            kept = ann.near_enough(y, np.arange(len(y)), y[100] * np.float32(1.01), (y**2).sum(1), 10)
+        exact = ((y.astype(np.float64) - y[100].astype(np.float64) * np.float32(1.01)) ** 2).sum(1)
+        assert set(np.flatnonzero(exact <= np.sort(exact)[9])) <= set(kept)
+
+
+def test_lookups_equal_products_with_reconstructions():
+    rng = np.random.default_rng(6)
+    books, q = rng.normal(size=(5, 32, 16)).astype(np.float32), rng.normal(size=(7, 16)).astype(np.float32)
+    codes = rng.integers(0, 32, (5, 2_500)).astype(np.uint8)
+    near = sum(books[m][codes[m]] for m in range(5))
+    half = (near**2).sum(1) / 2
+    assert np.allclose(ann.lookup_scores(np.einsum("qd,mkd->mkq", q, books), codes, half), q @ near.T - half, atol=1e-3)
+
+
 def test_beam_beats_greedy_and_norms_are_of_reconstructions():
     rng = np.random.default_rng(0)
     x = rng.normal(size=(300, 16)).astype(np.float32)
